@@ -7,12 +7,16 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .hyperdim import op2_language_id
+from .line_rules import OP4_SQL, op4_line_rules
 from .packing import op8_packing
 from .token_files import op1_token_files
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_token_files": op1_token_files,
     "op2_language_id": op2_language_id,
+    "op4_line_rules": op4_line_rules,
     "op8_packing": op8_packing,
 }
-SQL: dict[str, str] = {}
+SQL: dict[str, str] = {
+    "op4_line_rules": OP4_SQL,
+}
