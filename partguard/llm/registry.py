@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from .hyperdim import op2_language_id
 from .line_rules import OP4_SQL, op4_line_rules
+from .nbsvm import op6_quality_classifier
 from .packing import op8_packing
 from .token_files import op1_token_files
 
@@ -15,6 +16,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_token_files": op1_token_files,
     "op2_language_id": op2_language_id,
     "op4_line_rules": op4_line_rules,
+    "op6_quality_classifier": op6_quality_classifier,
     "op8_packing": op8_packing,
 }
 SQL: dict[str, str] = {
