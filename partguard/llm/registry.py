@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from .hyperdim import op2_language_id
 from .line_rules import OP4_SQL, op4_line_rules
 from .nbsvm import op6_quality_classifier
+from .merkle import OP5_SQL, op5_fingerprints
 from .packing import op8_packing
 from .token_files import op1_token_files
 
@@ -17,8 +18,10 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_language_id": op2_language_id,
     "op4_line_rules": op4_line_rules,
     "op6_quality_classifier": op6_quality_classifier,
+    "op5_fingerprints": op5_fingerprints,
     "op8_packing": op8_packing,
 }
 SQL: dict[str, str] = {
     "op4_line_rules": OP4_SQL,
+    "op5_fingerprints": OP5_SQL,
 }
