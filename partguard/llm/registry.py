@@ -12,6 +12,7 @@ from .nbsvm import op6_quality_classifier
 from .merkle import OP5_SQL, op5_fingerprints
 from .packing import op8_packing
 from .token_files import op1_token_files
+from .warc import OP10_SQL, op10_warc
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_token_files": op1_token_files,
@@ -19,9 +20,11 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_line_rules": op4_line_rules,
     "op6_quality_classifier": op6_quality_classifier,
     "op5_fingerprints": op5_fingerprints,
+    "op10_warc": op10_warc,
     "op8_packing": op8_packing,
 }
 SQL: dict[str, str] = {
     "op4_line_rules": OP4_SQL,
     "op5_fingerprints": OP5_SQL,
+    "op10_warc": OP10_SQL,
 }
