@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
+import gzip
 from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import load, shared_path, text_of
+from .common import load, shared_path, stored, text_of
 
 _BASE32 = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
 _END = "\r\n\r\n"
@@ -48,11 +49,12 @@ def transactions(pages: DataFrame, min_bytes: int = 0) -> DataFrame:
     return rows.join(again, "digest", "left").withColumn("first_id", F.when(~F.col("first_id").eqNullSafe(F.col("page_id")), F.col("first_id")))
 
 
-def write_warc(rows: DataFrame, path: str, date: str = "2024-01-01T00:00:00Z", max_rows_per_file: int = 20_000) -> None:
+def write_warc(rows: DataFrame, path: str, date: str = "2024-01-01T00:00:00Z", max_rows_per_file: int = 20_000, compression: str = "gzip") -> None:
     """Write a response or revisit record per row of ``transactions``, with a request and a metadata record concurrent to it.
 
     Each row's three records are one line of Spark's text writer, whose line separator is the two
-    line ends that close a WARC record; so the files are plain WARC files on any store that Spark writes.
+    line ends that close a WARC record; so the files are plain WARC files, each
+    one gzip stream by default, on any store that Spark writes.
     """
     digest = F.concat(F.lit("sha1:"), base32(F.col("digest")))
     clean = F.regexp_replace("url", r"[\x00-\x20]", "")
@@ -65,7 +67,7 @@ def write_warc(rows: DataFrame, path: str, date: str = "2024-01-01T00:00:00Z", m
     target = F.regexp_replace("uri", r"^[a-z]+://[^/?#]*|#.*$", "")
     ask = _record("request", "application/http; msgtype=request", [("WARC-Record-ID", _urn("request", F.col("capture"))), *common, ("WARC-Concurrent-To", F.col("capture"))], F.concat(F.lit("GET "), F.when(target.startswith("/"), target).otherwise(F.concat(F.lit("/"), target)), F.lit(" HTTP/1.1\r\nHost: "), host, F.lit(_END)))
     note = _record("metadata", "application/warc-fields", [("WARC-Record-ID", _urn("metadata", F.col("capture"))), *common, ("WARC-Concurrent-To", F.col("capture"))], F.coalesce(F.concat(F.lit("pageId: "), F.col("page_id").cast("string"), F.lit("\r\n")), F.lit("")))
-    ids.select(F.concat_ws(_END, ask, answer, note)).write.options(lineSep=_END, compression="none", maxRecordsPerFile=max_rows_per_file).text(path)
+    ids.select(F.concat_ws(_END, ask, answer, note)).write.options(lineSep=_END, compression=compression, maxRecordsPerFile=max_rows_per_file).text(path)
 
 
 RECORDS = "record_id string, type string, concurrent_to string, refers_to string, payload_id string, uri string, date string, digest string, payload_bytes long, page_id long, request string"
@@ -79,8 +81,9 @@ def read_records(spark: SparkSession, path: str, with_payload: bool = False) ->
         kinds = [pa.int64() if x.endswith("long") else pa.string() for x in RECORDS.split(", ")] + [pa.binary()] * with_payload
         for batch in batches:
             for file in batch.column("content"):
-                data, at, rows = memoryview(file.as_buffer()), 0, []
-                raw = bytes(data)
+                raw, at, rows = file.as_buffer().to_pybytes(), 0, []
+                if raw[:2] == b"\x1f\x8b":
+                    raw = gzip.decompress(raw)
                 while at < len(raw):
                     stop = raw.index(b"\r\n\r\n", at)
                     fields = dict(x.split(": ", 1) for x in raw[at:stop].decode().split("\r\n")[1:])
@@ -129,7 +132,7 @@ def with_referred(captures: DataFrame) -> DataFrame:
 def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = shared_path(spark, "warc")
     write_warc(transactions(load(spark, sf_dir, "pages")), path)
-    captures = with_referred(assemble(read_records(spark, path)))
+    captures = with_referred(assemble(stored(read_records(spark, path), "records")))
     return captures.select("page_id", "payload_bytes", F.regexp_replace("digest", "^sha1:", "").alias("payload_digest"), F.col("type").alias("record_type"), F.col("referred_page").alias("refers_to"), F.col("request.line").alias("request_line"), F.col("uri").alias("target_uri"))
 
 
