@@ -83,11 +83,11 @@ def with_next(docs: DataFrame, part: int = 4, id_column: str = "doc_id", text_co
     """(doc_id, text, n_chars, fingerprint, head, next_fingerprint): each text with the first n_chars/``part`` code points and the fingerprint of the next document by id; after the last comes the first.
 
     Texts move once, by id; what comes from the next document is its head and fingerprint. Null
-    texts are empty, a null id comes first. Rows that share an id share their next document; of
+    texts are empty; a null id comes first, as the smallest long, which is no id of its own. Rows that share an id share their next document; of
     several such rows the one with the smallest head is the next document of the id before.
     """
     floor = -(1 << 63)
-    source = docs.select(F.col(id_column).cast("long").alias("doc_id"), F.coalesce(F.col(id_column).cast("long"), F.lit(floor)).alias("id"), text_of(text_column).alias("text"))
+    source = docs.select(F.coalesce(F.col(id_column).cast("long"), F.lit(floor)).alias("id"), text_of(text_column).alias("text"))
     sizes = source.select("id", F.length("text").cast("long").alias("n")).groupBy("id").agg(F.max("n").alias("n"), F.count("*").alias("rows"))
     sizes = stored(sizes, "sizes")
     repeated = not sizes.filter("rows > 1").isEmpty()
@@ -95,7 +95,8 @@ def with_next(docs: DataFrame, part: int = 4, id_column: str = "doc_id", text_co
     nexts = placed.select(F.col("before").alias("id"), F.expr(f"substring(text, 1, int(n_before div {part}))").alias("head"), fingerprint(F.col("text")).alias("next_fingerprint"))
     if repeated:
         nexts = nexts.groupBy("id").agg(F.min(F.struct("head", "next_fingerprint")).alias("x")).select("id", "x.*")
-    return source.join(nexts, "id").select("doc_id", "text", F.length("text").cast("long").alias("n_chars"), fingerprint(F.col("text")).alias("fingerprint"), F.expr(f"substring(head, 1, int(length(text) div {part}))").alias("head"), "next_fingerprint")
+    doc_id = F.nullif("id", F.lit(floor)).alias("doc_id")
+    return source.join(nexts, "id").select(doc_id, "text", F.length("text").cast("long").alias("n_chars"), fingerprint(F.col("text")).alias("fingerprint"), F.expr(f"substring(head, 1, int(length(text) div {part}))").alias("head"), "next_fingerprint")
 
 
 def op5_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
