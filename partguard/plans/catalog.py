@@ -394,3 +394,38 @@ for _fault in (*ft.CORRUPTING, *ft.BENIGN):
     add(f"workload_{_fault}", "ds:s fallen:5 far:3", lambda spark, d, a=_fd: sc.completeness_drop(summary_of(spark, d, a)).withColumnRenamed("score", "fallen").join(cd.clustered_score(summary_of(spark, d, a), _groups(spark, a)).withColumnRenamed("score", "far"), "ds"),
         [*o.summary(_fd), *o.changes("completeness"), o.scored(o.drop(), "x"), *o.six(), _group_sql(_fd), o.means(), *o.row_distances(), *o.neighbors("v", y=None), "r AS (SELECT x.ds, x.score AS fallen, v.score AS far FROM x JOIN v USING (ds))"])
 add("quality_model", "ds:l n:l accuracy:4", lambda spark, d: lb.quality_model(spark, load(spark, d, "documents"), load(spark, d, "labels")))
+
+# Other pipelines: months, weeks, hours, batches ---------------------------------------------------
+
+for _name in ("orders_monthly", "lineitem_monthly", "lineitem_weekly", "events_hourly", "documents_batches", "labels_joined", "pages_batches", "conversations_batches", "benchmark_batches"):
+    _data = fe.DATASETS[_name]()
+    _ctes = [*o.summary(_data), *o.changes("mean"), o.scored("abs(rel)")]
+    add(f"general_rel_{_name}", "ds:s score:5", lambda spark, d, a=_data: sc.general_score(summary_of(spark, d, a), "mean", "rel", absolute=True), _ctes)
+    add(f"completeness_drop_{_name}", "ds:s score:5", lambda spark, d, a=_data: sc.completeness_drop(summary_of(spark, d, a), delta=0.1), [*o.summary(_data), *o.changes("completeness"), o.scored(o.drop(0.1))])
+
+
+def _pipelines(spark: SparkSession, d: str) -> DataFrame:
+    """Several pipelines over one table: the model id joins the key of every window."""
+    rows = CLEAN.rows(spark, d)
+    long = sm.long_form(rows.withColumn("ds", F.struct(F.col("event_type").alias("model_id"), F.col("ds"))), [f for f in fe.EVENTS if f.name in ("amount", "prop_k", "over_5")])
+    s = long.groupBy(F.col("ds.model_id").alias("model_id"), F.col("ds.ds").alias("ds"), "feature").agg(F.avg("num").alias("mean"))
+    return ro.rolling(s, "mean", keys=("model_id", "feature"))
+
+
+add("pipelines_by_model", "model_id ds:s feature s:4 base:4", _pipelines,
+    [f"w AS ({CLEAN.duck_rows()})", "l AS (" + " UNION ALL ".join(f"SELECT event_type AS model_id, ds, '{f.name}' AS feature, CAST({f.sql} AS DOUBLE) AS num FROM w" for f in fe.EVENTS if f.name in ("amount", "prop_k", "over_5")) + ")", "a AS (SELECT model_id, ds, feature, avg(num) AS s FROM l GROUP BY 1, 2, 3)", "q AS (SELECT *, row_number() OVER f AS nth, avg(s) OVER (PARTITION BY model_id, feature ORDER BY ds ROWS BETWEEN 7 PRECEDING AND 1 PRECEDING) AS b FROM a WINDOW f AS (PARTITION BY model_id, feature ORDER BY ds))", "r AS (SELECT model_id, ds, feature, s, CASE WHEN nth > 7 THEN b END AS base FROM q)"])
+add("calendar_context", "ds:s weekday:l weekend holiday", lambda spark, d: ro.with_calendar(clean(spark, d).select("ds").distinct(), spark.createDataFrame([("2024-01-25",)], "ds string").withColumn("ds", F.col("ds").cast("date"))), ["r AS (SELECT DISTINCT CAST(ts AS DATE) AS ds, isodow(ts) AS weekday, isodow(ts) >= 6 AS weekend, CAST(ts AS DATE) = DATE '2024-01-25' AS holiday FROM events)"])
+add("knn_embeddings", "ds:s score:4", lambda spark, d: sc.knn_score(sm.summarize_array(load(spark, d, "embeddings").withColumn("ds", F.floor(F.col("vec_id") / 25)), "embedding"), stats=("mean", "stddev"), rescale="none"),
+    ["e AS (SELECT vec_id // 25 AS ds, embedding FROM embeddings)", "x AS (SELECT ds, 'dim_' || lpad(CAST(i - 1 AS VARCHAR), 2, '0') AS feature, CAST(embedding[i] AS DOUBLE) AS num FROM e, (SELECT unnest(range(1, 65)) AS i) UNION ALL SELECT ds, 'norm', sqrt(list_sum(list_transform(embedding, lambda v: CAST(v AS DOUBLE) * CAST(v AS DOUBLE)))) FROM e)", "s AS (SELECT ds, feature, avg(num) AS mean, stddev_samp(num) AS stddev FROM x GROUP BY 1, 2)", *o.knn("none", rows=[o.stat_rows(("mean", "stddev"), "r_n0")])])
+add("first_week_only", "ds:s score:5", lambda spark, d: sc.completeness_drop(low(spark, d).filter("ds <= '2024-01-07'")), [*S_LOW, "few AS (SELECT * FROM s WHERE ds <= DATE '2024-01-07')", *o.changes("completeness", source="few"), o.scored(o.drop())])
+
+
+def widened_score(spark: SparkSession, d: str, n: int = 100) -> DataFrame:
+    """The runtime study's input, summarised in array form and scored by the mean's deviation."""
+    rows, _ = fe.widened(spark, d, n)
+    cells = rows.select("ds", F.posexplode("x").alias("p", "num")).groupBy("ds", "p").agg(F.count("*").alias("n_rows"), F.count("num").alias("n_valid"), F.avg("num").alias("mean"))
+    return sc.completeness_drop(cells.withColumn("feature", F.format_string("f%05d", "p")).withColumn("completeness", F.col("n_valid") / F.col("n_rows")), delta=0.0)
+
+
+add("widened_100", "ds:s score:6", widened_score,
+    ["x AS (SELECT CAST(ts AS DATE) AS ds, j, CASE WHEN j % 8 = 7 AND event_id % 8 = 7 THEN NULL ELSE value * (1 + j % 7) + ((event_id * (j + 1)) % 97) END AS num FROM events, (SELECT unnest(range(100)) AS j))", "s AS (SELECT ds, j AS feature, count(num) / count(*) AS completeness FROM x GROUP BY 1, 2)", *o.changes("completeness"), o.scored(o.drop(0.0))])

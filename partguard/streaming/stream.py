@@ -21,7 +21,7 @@ def source(spark: SparkSession, sf_dir: str, table: str = "events", files_per_tr
     return reader.parquet(path).withColumn("ts", zoned("ts"))
 
 
-def daily(stream: DataFrame, late: str = "1 day") -> DataFrame:
+def daily(stream: DataFrame, late: str = "1 hour") -> DataFrame:
     """Tumbling days: rows, sum, mean, sketches of distinct users and of values."""
     return stream.withWatermark("ts", late).groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n_rows"), F.count("value").alias("n_valid"), F.avg("value").alias("mean"), F.hll_sketch_estimate(F.hll_sketch_agg("user_id")).alias("users"), F.expr("kll_sketch_agg_double(value)").alias("kll"))
 
