@@ -146,11 +146,11 @@ def sparse_graph(summary: DataFrame, names: list[str], matrices: dict[str, np.nd
     return starts.mapInPandas(work, "src long, dst long, weight double").groupBy("src", "dst").agg(F.max("weight").alias("weight"))
 
 
-def pic(summary: DataFrame, edges: DataFrame, names: list[str], v: int, iterations: int = 20) -> dict[str, int]:
+def pic(summary: DataFrame | None, edges: DataFrame, names: list[str], v: int, iterations: int = 20) -> dict[str, int]:
     """Power iteration clustering on an edge table of feature numbers: the distributed form for very many features."""
     from pyspark.ml.clustering import PowerIterationClustering
 
-    found = PowerIterationClustering(k=v, maxIter=iterations, initMode="degree", weightCol="weight").assignClusters(edges).collect()  # a row per feature
+    found = PowerIterationClustering(k=v, maxIter=iterations, initMode="random", weightCol="weight").assignClusters(edges).collect()  # a row per feature
     label = {r["id"]: r["cluster"] for r in found}
     return canonical(names, [label.get(i, FLAT) for i in range(len(names))])
 

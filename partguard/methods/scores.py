@@ -158,14 +158,18 @@ def pca_score(summary: DataFrame, explained: float = 0.95, stats: tuple[str, ...
     spark = summary.sparkSession
     rows = stat_rows(summary, stats).toPandas()
     wide = rows.pivot_table(index="ds", columns=["feature", "stat"], values="x").sort_index()
-    x = wide.fillna(wide.mean()).to_numpy(float)
+    raw = wide.to_numpy(float)
     out = []
-    for t in range(len(x)):
+    days = wide.index.tolist()
+    for t in range(len(raw)):
         if t < k:
-            out.append((wide.index[t], None))
+            out.append((days[t], None))
             continue
+        held = ~np.isnan(raw[:t])
+        mean = np.where(held, raw[:t], 0).sum(0) / np.maximum(held.sum(0), 1)
+        x = np.where(np.isnan(raw[: t + 1]), mean, raw[: t + 1])  # a missing entry takes the mean of its past
         past = x[:t]
-        mean, std = past.mean(0), past.std(0, ddof=1)
+        std = past.std(0, ddof=1)
         scale = np.where(std > 1e-9, std, 1.0)
         a, today = (past - mean) / scale, np.where(std > 1e-9, (x[t] - mean) / scale, 0.0)
         values, vectors = np.linalg.eigh(a @ a.T)
@@ -176,8 +180,8 @@ def pca_score(summary: DataFrame, explained: float = 0.95, stats: tuple[str, ...
         m = min(m, int(keep.sum()))
         axes = (a.T @ vectors[:, :m]) / np.sqrt(values[:m]) if m else np.zeros((a.shape[1], 0))
         parts = (today @ axes) ** 2 / (values[:m] / max(1, t - 1)) if m else np.zeros(0)
-        out.append((wide.index[t], float(parts.mean()) if m else 0.0))
-    return spark.createDataFrame(pd.DataFrame(out, columns=["ds", "score"]), f"ds {dict(summary.dtypes)['ds']}, score double")
+        out.append((days[t], float(parts.mean()) if m else 0.0))
+    return spark.createDataFrame(out, f"ds {dict(summary.dtypes)['ds']}, score double")
 
 
 def constant_score(summary: DataFrame, value: float) -> DataFrame:
