@@ -8,7 +8,7 @@ from functools import reduce
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import load, slices, stored, text_of
@@ -110,45 +110,56 @@ def confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return pairs.join(left, "a").join(right, "b").select("a", "b", (100 * both >= percent * (F.size("sa") + F.size("sb") - both)).alias("linked"))
 
 
-def links(docs: DataFrame, reps: DataFrame, size: int, percent: int, hub_rounds: int = 4) -> DataFrame:
-    """Confirmed links (a, b) that join all representatives which any confirmed candidate pair would join.
+def prefix_pairs(sets: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) of ``nodes`` (id, n, component) in different components that may meet the similarity: exact, none is missed.
+
+    In one order of all shingles, rare ones first, two sets of the similarity share a shingle among
+    the first n - ceil(percent * n / 100) + 1 of each; and what follows the first shingle that they
+    share, in either, must be enough for the overlap they need. A text with so many shingles of its own that
+    they fill its prefix drops out without a pair, and shingles of one component make none.
+    """
+    each = sets.join(nodes.select("id"), "id", "left_semi").select("id", F.explode("shingles").alias("shingle"))
+    of = each.groupBy("shingle").agg(F.count("*").alias("df"))
+    ranked = each.join(of, "shingle").withColumn("r", F.row_number().over(Window.partitionBy("id").orderBy("df", "shingle")))
+    head = ranked.filter("df > 1").join(nodes, "id").filter(F.expr(f"r <= n - ceil({percent} * n / 100.0) + 1")).select("shingle", "id", "n", "component", "r")
+    mixed = head.groupBy("shingle").agg(F.min("component").alias("low"), F.max("component").alias("high")).filter("low < high").select("shingle")
+    head = stored(head.join(mixed, "shingle", "left_semi"), "prefixes")
+    other = head.select("shingle", F.col("id").alias("b"), F.col("n").alias("m"), F.col("component").alias("other"), F.col("r").alias("q"))
+    fits = f"100 * least(n, m) >= {percent} * greatest(n, m) AND 1 + least(n - r, m - q) >= ceil({percent} * (n + m) / {100.0 + percent})"
+    return head.join(other, "shingle").filter(f"id < b AND component <> other AND {fits}").select(F.col("id").alias("a"), "b").distinct()
+
+
+def links(docs: DataFrame, reps: DataFrame, size: int, percent: int) -> DataFrame:
+    """Edges (a, b), of confirmed links, that join all representatives which any confirmed candidate pair would join.
 
     ``reps`` has (id, n, firsts, seconds), one row per distinct set. Each bucket of a table is a set
-    of candidates. In every round each bucket picks one of its members as hub, those with most
-    confirmed links first, and the members that aren't yet joined to it are checked against it: rows in
-    proportion to the bucket, not to its square. Buckets whose members are all joined drop out. What is
-    left after ``hub_rounds`` rounds, mostly false candidates in small buckets, is checked pair by pair.
+    of candidates. Twice each bucket picks one of its members as hub, first by a hash, then the one
+    that was linked in most of its tests, the likeliest centre, and the others are checked against
+    it: rows in proportion to the bucket, not to its square. Buckets whose members are all joined
+    then drop out. What is left is compared by an exact prefix filter, so that no pair in a bucket is passed over.
     """
     spread = reps.select("id", "n", F.posexplode("firsts").alias("i", "x"), "seconds").select("id", "n", "i", "x", F.posexplode("seconds").alias("j", "y")).select("id", "n", F.xxhash64("i", "x", "j", "y").alias("key"))
     shared = spread.groupBy("key").agg(F.min("id").alias("low"), F.max("id").alias("high")).filter("low < high").select("key")
     members = stored(spread.join(shared, "key", "left_semi"), "buckets")
     sets = stored(shingle_sets(docs.join(members.select(F.col("id")).distinct(), F.col("doc_id") == F.col("id"), "left_semi").select(F.col("doc_id").alias("id"), "text"), size), "sets")
-    tested, joined = None, None
-    for turn in range(hub_rounds + 1):
-        if tested is not None:
-            linked = tested.filter("linked")
-            joined = stored(components(linked), "joined")
-            degree = linked.select(F.explode(F.array("a", "b")).alias("id")).groupBy("id").agg(F.count("*").alias("degree"))
-            members = members.select("id", "n", "key").join(joined, "id", "left").join(degree, "id", "left").select("id", "n", "key", F.coalesce("component", "id").alias("component"), F.coalesce("degree", F.lit(0)).alias("degree"))
-            open_keys = members.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high")).filter("low < high").select("key")
-            members = stored(members.join(open_keys, "key", "left_semi"), "buckets")
-        else:
-            members = members.withColumns({"component": F.col("id"), "degree": F.lit(0)})
-        fits = F.expr(f"100 * least(n, m) >= {percent} * greatest(n, m)")
-        if turn < hub_rounds:
-            rank = F.struct(-F.col("degree") if turn % 2 else F.lit(0), F.xxhash64(F.lit(turn), "id"), F.col("id"))
-            hub = members.groupBy("key").agg(F.min(F.struct(rank.alias("rank"), F.col("id").alias("hub"), F.col("component").alias("hub_component"), F.col("n").alias("m"))).alias("h")).select("key", "h.hub", "h.hub_component", "h.m")
-            pairs = members.join(hub, "key").filter("component <> hub_component").filter(fits).select(F.least("id", "hub").alias("a"), F.greatest("id", "hub").alias("b")).distinct()
-        else:
-            other = members.select("key", F.col("id").alias("hub"), F.col("component").alias("hub_component"), F.col("n").alias("m"))
-            pairs = members.join(other, "key").filter("id < hub and component <> hub_component").filter(fits).select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct()
-        if tested is not None:
-            pairs = pairs.join(tested.select("a", "b"), ["a", "b"], "left_anti")
-        new = stored(confirm(pairs, sets, percent).distinct(), "links")
-        if new.isEmpty() and turn % 2:
-            break
-        tested = new if tested is None else stored(tested.unionByName(new), "links")
-    return tested.filter("linked").select("a", "b")
+    near = f"100 * least(n, m) >= {percent} * greatest(n, m)"
+
+    def against_hubs(rows: DataFrame, rate) -> DataFrame:
+        rank = F.struct(-rate, F.xxhash64("id"), F.col("id"))
+        hub = rows.groupBy("key").agg(F.min(F.struct(rank.alias("rank"), F.col("id").alias("hub"), F.col("n").alias("m"))).alias("h")).select("key", "h.hub", "h.m")
+        return rows.join(hub, "key").filter(f"id <> hub AND {near}").select(F.least("id", "hub").alias("a"), F.greatest("id", "hub").alias("b")).distinct()
+
+    first = stored(confirm(against_hubs(members, F.lit(0.0)), sets, percent), "links")
+    rates = first.select(F.explode(F.array("a", "b")).alias("id"), F.col("linked").cast("int").alias("l")).groupBy("id").agg((F.sum("l") / (F.count("*") + 1)).alias("rate"))
+    again = against_hubs(members.join(rates, "id", "left"), F.coalesce("rate", F.lit(0.0))).join(first.select("a", "b"), ["a", "b"], "left_anti")
+    second = stored(confirm(again, sets, percent), "links")
+    tested = first.unionByName(second)
+    joined = components(tested.filter("linked").select("a", "b"))
+    labelled = members.join(joined, "id", "left").select("id", "n", "key", F.coalesce("component", "id").alias("component"))
+    open_keys = labelled.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high")).filter("low < high").select("key")
+    nodes = stored(labelled.join(open_keys, "key", "left_semi").select("id", "n", "component").distinct(), "open")
+    rest = confirm(prefix_pairs(sets, nodes, percent).join(tested.select("a", "b"), ["a", "b"], "left_anti"), sets, percent)
+    return joined.select(F.col("id").alias("a"), F.col("component").alias("b")).unionByName(rest.filter("linked").select("a", "b"))
 
 
 def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80, tensor: Tensor | None = None, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
