@@ -6,6 +6,7 @@ import re
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from itertools import filterfalse
 
 import numpy as np
 import pyarrow as pa
@@ -94,7 +95,8 @@ class Pieces:
 
     def __post_init__(self) -> None:
         self.trie = DoubleArray(self.keys)
-        self.byte_of = {i: b for b, i in enumerate(self.byte_ids) if i >= 0}
+        byte_of = {i: bytes([b]) for b, i in enumerate(self.byte_ids) if i >= 0}
+        self.raw = [t or byte_of.get(i, "\ufffd".encode() if i == self.unknown else b"") for i, t in enumerate(self.texts)]
         self.penalty = min(self.scores, default=0.0) - 10.0
         inner = {c for k in self.keys if len(t := k.decode()) > 1 for c in t[1:]}
         #: Where no piece goes on across a mark after another sign, or across a line feed, a text can be cut there.
@@ -130,20 +132,29 @@ def segment(pieces: Pieces, text: bytes) -> list[int]:
     low = float("-inf")
     best, back, number = [low] * (n + 1), [0] * (n + 1), [-1] * (n + 1)
     best[0] = 0.0
-    scores, trie = pieces.scores, pieces.trie
+    scores, base, check, value = pieces.scores, pieces.trie.base, pieces.trie.check, pieces.trie.value
     for i in range(n):
         here = best[i]
-        if here == low or (text[i] & 0xC0) == 0x80:
+        c = text[i]
+        if here == low or (c & 0xC0) == 0x80:
             continue
-        width = 1 if text[i] < 0x80 else 2 if text[i] < 0xE0 else 3 if text[i] < 0xF0 else 4
-        single = False
-        for end, k in trie.prefixes(text, i):
-            single |= end == i + width
-            if here + scores[k] > best[end]:
-                best[end], back[end], number[end] = here + scores[k], i, k
-        end = min(i + width, n)
-        if not single and here + pieces.penalty > best[end]:
-            best[end], back[end], number[end] = here + pieces.penalty, i, -1
+        first = i + 1 if c < 0x80 else min(n, i + (2 if c < 0xE0 else 3 if c < 0xF0 else 4))
+        node, single = 0, False
+        for j in range(i, n):  # walk the trie along the text: every piece that starts here
+            child = base[node] + text[j] + 1
+            if check[child] != node:
+                break
+            node = child
+            k = value[node]
+            if k >= 0:
+                j += 1
+                if j == first:
+                    single = True
+                s = here + scores[k]
+                if s > best[j]:
+                    best[j], back[j], number[j] = s, i, k
+        if not single and here + pieces.penalty > best[first]:
+            best[first], back[first], number[first] = here + pieces.penalty, i, -1
     out, end = [], n
     while end:
         start, k = back[end], number[end]
@@ -170,22 +181,19 @@ class Encoder:
             return b""
         runs = self._RUN.findall(" " + text) if self.pieces.cuts else [" " + text]
         known = self.known
-        parts = []
-        for r in runs:
-            ids = known.get(r)
-            if ids is None:
-                ids = np.array(segment(self.pieces, r.replace(" ", MARK).encode("utf-8", "replace")), "<u4").tobytes()
-                if len(known) < self.limit:
-                    known[r] = ids
-            parts.append(ids)
-        return b"".join(parts)
+        new = set(filterfalse(known.__contains__, runs))
+        for r in new:
+            known[r] = np.array(segment(self.pieces, r.replace(" ", MARK).encode("utf-8", "replace")), "<u4").tobytes()
+        out = b"".join(map(known.__getitem__, runs))
+        if len(known) > self.limit:
+            for r in new:
+                del known[r]
+        return out
 
 
 def decode(pieces: Pieces, ids: list[int]) -> str:
     """Text of ids: pieces and fallback bytes in order, marks as blanks, without the mark in front."""
-    texts, byte_of = pieces.texts, pieces.byte_of
-    raw = b"".join([texts[i] or (bytes([byte_of[i]]) if i in byte_of else "�".encode() if i == pieces.unknown else b"") for i in ids])
-    text = raw.decode("utf-8", "replace").replace(MARK, " ")
+    text = b"".join(map(pieces.raw.__getitem__, ids)).decode("utf-8", "replace").replace(MARK, " ")
     return text[1:] if text.startswith(" ") else text
 
 
