@@ -6,19 +6,20 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def ks_distance(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series([float(np.max(np.abs(np.asarray(x) - np.asarray(y)))) if x is not None and y is not None else None for x, y in zip(a, b)])
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def w1_distance(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series([float(np.sum(np.abs(np.asarray(x) - np.asarray(y)))) if x is not None and y is not None else None for x, y in zip(a, b)])
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def dts_distance(a: pd.Series, b: pd.Series) -> pd.Series:
     def one(x, y):
         if x is None or y is None:
@@ -34,7 +35,7 @@ def dts_distance(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series([one(x, y) for x, y in zip(a, b)])
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def weighted_median(value: pd.Series, weight: pd.Series) -> float:
     """Smallest value with at least half of the weight at or below it."""
     order = np.argsort(value.to_numpy(), kind="stable")
@@ -42,7 +43,7 @@ def weighted_median(value: pd.Series, weight: pd.Series) -> float:
     return float(value.to_numpy()[order][np.searchsorted(total, total[-1] / 2)])
 
 
-@F.udtf(returnType="rank: int, value: double")
+@F.udtf(returnType=T.StructType([T.StructField("rank", T.IntegerType()), T.StructField("value", T.DoubleType())]))
 class PercentileRows:
     """The entries of a percentile vector as rows."""
 
