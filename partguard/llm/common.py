@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import uuid
 from collections.abc import Iterable, Iterator
 
@@ -31,6 +34,13 @@ def stored(df: DataFrame, purpose: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def small_batches(spark: SparkSession, size: int = 4 << 20) -> None:
+    """Hold the Arrow batches of this session at ``size`` bytes, whatever the rows' length: texts differ ten-thousandfold, and a batch by rows has no bound."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    if spark.conf.get(key, None) != str(size):
+        spark.conf.set(key, str(size))
+
+
 def text_of(column: str = "text") -> Column:
     """The text, with null as empty."""
     return F.coalesce(F.col(column).cast("string"), F.lit(""))
@@ -41,7 +51,15 @@ def crc_mod(id_column: str, modulus: int) -> Column:
     return F.crc32(F.coalesce(F.col(id_column).cast("string"), F.lit("")).cast("binary")) % modulus
 
 
-def slices(batches: Iterable[pa.RecordBatch], chars: int = 4_000_000, column: str = "text") -> Iterator[pa.RecordBatch]:
+def release() -> None:
+    """Give freed memory back to the system: a worker process lives on after its task, beside others and the JVM."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def slices(batches: Iterable[pa.RecordBatch], chars: int = 2_000_000, column: str = "text") -> Iterator[pa.RecordBatch]:
     """Cut Arrow batches so that each holds about ``chars`` bytes of text (one row at least): bounds a worker's memory."""
     for batch in batches:
         if not batch.num_rows:
@@ -54,3 +72,4 @@ def slices(batches: Iterable[pa.RecordBatch], chars: int = 4_000_000, column: st
                 start, held = i, 0
             held += n
         yield batch.slice(start)
+    release()

@@ -11,10 +11,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StringType, StructField, StructType
 
-from .common import crc_mod, load, slices
+from .common import crc_mod, load, slices, small_batches
 
 UNKNOWN = "und"
 _BLANK = 0x20
+_CHARS = 1_000_000  # of text at a time: some ten arrays of as many numbers are held
 _IS_LETTER: np.ndarray | None = None
 
 
@@ -106,7 +107,7 @@ def train(docs: DataFrame, lang_column: str = "lang", text_column: str = "text",
             for at, vectors in space.bind(codes):
                 total += times[at].astype(np.float32) @ vectors.astype(np.float32)
 
-        for batch in slices(batches):
+        for batch in slices(batches, chars=_CHARS):
             lang = np.array(batch.column("lang").to_pylist(), object)
             codes, index, doc = trigrams(batch.column("text").to_pylist())
             for x in set(lang.tolist()):
@@ -115,7 +116,7 @@ def train(docs: DataFrame, lang_column: str = "lang", text_column: str = "text",
                 held = counts.setdefault(x, {})
                 for c, k in zip(codes[some].tolist(), n[some].tolist()):
                     held[c] = held.get(c, 0) + k
-                if len(held) > 1_000_000:
+                if len(held) > 50_000:
                     flush(x)
         for x in list(counts):
             flush(x)
@@ -129,6 +130,7 @@ def train(docs: DataFrame, lang_column: str = "lang", text_column: str = "text",
             total += np.frombuffer(x)
         return pa.table({"lang": table.column("lang")[:1], "vector": pa.array([total.tobytes()], pa.binary()), "part": table.column("part")[:1]})
 
+    small_batches(docs.sparkSession)
     kind = "lang string, vector binary, part int"
     rows = docs.select(F.col(lang_column).cast("string").alias("lang"), F.col(text_column).cast("string").alias("text")).filter("lang is not null and text is not null")
     bundles = rows.mapInArrow(bundle, kind)
@@ -155,10 +157,10 @@ def predict(docs: DataFrame, langs: list[str], prototypes: np.ndarray, text_colu
     def label(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         space, weights = Space(dim, seed), prototypes.T.astype(np.float32)
         known, products = np.zeros(0, np.int64), np.zeros((0, len(langs)))
-        for batch in slices(batches, column=text_column):
+        for batch in slices(batches, chars=_CHARS, column=text_column):
             texts = [x or "" for x in batch.column(text_column).to_pylist()]
             codes, index, doc = trigrams(texts)
-            if len(known) > 1_000_000:
+            if len(known) > 300_000:
                 known, products = known[:0], products[:0]
             new = np.setdiff1d(codes, known, assume_unique=True)
             if len(new):
@@ -183,6 +185,7 @@ def predict(docs: DataFrame, langs: list[str], prototypes: np.ndarray, text_colu
                 names, score = [UNKNOWN] * len(texts), np.zeros(len(texts))
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(names, pa.string()), pa.array(score, pa.float64())], [*batch.schema.names, "lang_pred", "score"])
 
+    small_batches(docs.sparkSession)
     return docs.mapInArrow(label, schema)
 
 

@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, LongType, StringType, StructField, StructType
 
-from .common import load, slices, stored
+from .common import load, slices, small_batches, stored
 
 #: Notices by licence; several for one licence are matched apart.
 TEMPLATES: list[tuple[str, str]] = [
@@ -118,6 +118,7 @@ def scan(files: DataFrame, path_column: str = "path", text_column: str = "text",
     """
     new = [StructField("n_lines", LongType()), StructField("n_matched", LongType()), StructField("similarity", DoubleType()), StructField("own_license", StringType())]
     files = files.drop(*(f.name for f in new), "license", "inherited_from", "permissive", "__row")
+    small_batches(files.sparkSession)
     total, counts = document_counts(files, text_column)
 
     def match(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import BooleanType, LongType, StringType, StructField, StructType
 
-from .common import load, slices
+from .common import load, slices, small_batches
 
 _SPACE = " \t\n\v\f\r"
 _SYMBOLS = "#*$%&|<>"
@@ -70,6 +70,7 @@ def clean(docs: DataFrame, text_column: str = "text", min_words: int = 50, max_l
     """
     new = [*(StructField(c, LongType()) for c in (*COUNTS, *LINES)), StructField("base_failed", BooleanType()), StructField("kept", BooleanType()), *[StructField("cleaned", StringType())] * with_text]
     docs = docs.drop(*(f.name for f in new))
+    small_batches(docs.sparkSession)
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, column=text_column):

@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, IntegerType, StructField, StructType
 
-from .common import crc_mod, load, slices
+from .common import crc_mod, load, slices, small_batches
 
 _TOKEN = re.compile(r"[^\W\d_]+|\d+|[^\w\s]+|_+")
 _BITS = 18
@@ -28,7 +28,7 @@ def _shape(token: str) -> str:
 class Features:
     """Hashed indicators of a text: words, and runs of one to four shapes (case, digits, the marks themselves, or that the word before is repeated)."""
 
-    def __init__(self, limit: int = 200_000):
+    def __init__(self, limit: int = 50_000):
         self.known: dict[str, tuple[int, int]] = {}
         self.limit = limit
 
@@ -144,6 +144,7 @@ def train(docs: DataFrame, labels: DataFrame, label_column: str = "quality", id_
             rows = [made.of(x or "").astype("<i4").tobytes() for x in batch.column("text").to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column("label"), pa.array(rows, pa.binary()), batch.column("id")], ["label", "features", "id"])
 
+    small_batches(docs.sparkSession)
     texts = docs.select(F.col(id_column).cast("long").alias("id"), F.col(text_column).cast("string").alias("text"))
     found = texts.join(F.broadcast(chosen), "id").select("id", "label", "text").mapInArrow(featurise, "label int, features binary, id long").toArrow().to_pylist()
     found.sort(key=lambda r: (r["id"], r["features"]))
@@ -154,6 +155,7 @@ def score(docs: DataFrame, model: Model, text_column: str = "text") -> DataFrame
     """Add ``score`` (probability of label 1) and ``predicted`` (1 from 0.5 on) to ``docs``; null is the empty text; columns of those names are replaced."""
     docs = docs.drop("score", "predicted")
     spark = docs.sparkSession
+    small_batches(spark)
     shared = spark.sparkContext.broadcast(Model(model.weights.astype(np.float32), model.bias, model.slope, model.shift))
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

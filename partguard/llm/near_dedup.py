@@ -11,7 +11,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import load, slices, stored, text_of
+from .common import load, slices, small_batches, stored, text_of
 from .components import components
 
 _GOLD = np.uint64(0x9E3779B97F4A7C15)
@@ -26,7 +26,7 @@ def _mix(x: np.ndarray) -> np.ndarray:
 class Shingler:
     """64-bit hashes of the distinct runs of ``size`` words, ascending; ASCII letters in lower case, words parted by ASCII white space."""
 
-    def __init__(self, size: int, limit: int = 300_000):
+    def __init__(self, size: int, limit: int = 60_000):
         self.size, self.limit, self.known = size, limit, {}
 
     def of(self, text: str) -> np.ndarray:
@@ -169,6 +169,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80, tensor
     texts have no shingle and link with nothing, nor do rows without id, whose component is null and which are kept.
     Rows that share an id are one document if they link, and each keeps its row.
     """
+    small_batches(docs.sparkSession)
     source = docs.select(F.col(id_column).cast("long").alias("doc_id"), text_of(text_column).alias("text"))
     base = stored(shingled(source, shingle, tensor or Tensor()), "minhash")
     nodes = base.filter("doc_id is not null and set_key is not null")

@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import bpe
-from .common import load, slices, stored, text_of
+from .common import load, slices, small_batches, stored, text_of
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 _FIELDS = PIECES + ", ids binary, is_open boolean, part int"
@@ -86,6 +86,7 @@ def pack(docs: DataFrame, tokenizer: str, blank_leads: bool = False, end_id: int
     No text moves between machines but the open windows. Null and empty texts are their end id;
     null ids and repeated rows are packed like any other row; an empty table gives no rows.
     """
+    small_batches(docs.sparkSession)
     source = docs.select(F.col(id_column).cast("long").alias("doc_id"), text_of(text_column).alias("text"))
 
     def online(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql.types import BooleanType, LongType, StructField, StructType
 
 from .bpe import public_file
-from .common import load, slices
+from .common import load, slices, small_batches
 
 MARK = "▁"
 
@@ -206,6 +206,7 @@ def encode(docs: DataFrame, model: str, text_column: str = "text") -> DataFrame:
     """
     new = [StructField(x, LongType()) for x in ("n_pieces", "n_byte_pieces", "ids_crc32", "n_chars_decoded")] + [StructField("round_trip", BooleanType())]
     docs = docs.drop(*(f.name for f in new))
+    small_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(Pieces.of_model(model))
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

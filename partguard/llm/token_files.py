@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import bpe, pfor
-from .common import load, shared_path, slices, stored, text_of
+from .common import load, shared_path, slices, small_batches, stored, text_of
 
 READ = "doc_id long, n_tokens long, ids_crc32 long, shard int, place int, nth int, within long"
 
@@ -26,6 +26,7 @@ def write_token_files(docs: DataFrame, path: str, tokenizer: str, blank_leads: b
     with one id stay next to each other in order of their text; a segment closes after
     ``segment_ids`` ids, and a longer text has a segment of its own. Other columns are ignored.
     """
+    small_batches(docs.sparkSession)
     ordered = docs.select(F.col(id_column).cast("long").alias("doc_id"), text_of(text_column).alias("text")).repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
