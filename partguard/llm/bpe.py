@@ -4,13 +4,26 @@ from __future__ import annotations
 
 import os
 import re
+from itertools import chain, filterfalse, islice
 
 import numpy as np
 
-#: A blank that touches other white space, or an end of the text, is not a safe place to cut.
-_UNSAFE = re.compile(r"[\s\u180e\u200b] | (?:[\s\u180e\u200b]|$)|^ ")
+#: White space: a blank that touches another of these, or an end of the text, is not a safe place to cut.
+_SPACES = [c for c in map(chr, range(0x3001)) if c.isspace()] + ["\u180e", "\u200b"]
 _SAFE_CUT = re.compile(r"(?<=[^\s\u180e\u200b]) (?=[^\s\u180e\u200b])")
 
+#: Marks at the end of a piece, but for the apostrophe and the underscore.
+_MARKS = re.compile(r"(?<=.)[!-&(-/:-@\[-^`{-~]+$")
+
+#: Letters whose lower case and composed form are plain; and how byte-level vocabularies spell the bytes of such letters.
+_LATIN = re.compile(r"[A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+").fullmatch
+_SHOWN = {*range(33, 127), *range(161, 173), *range(174, 256)}
+_BYTE_LETTERS = {b: 256 + k for k, b in enumerate(b for b in range(256) if b not in _SHOWN)}
+
+
+def _all_safe(text: str) -> bool:
+    return text[0] != " " and text[-1] != " " and not any(c in text and (f" {c}" in text or f"{c} " in text) for c in _SPACES)
+
 
 class PieceEncoder:
     """Ids of whole texts as little-endian uint32 bytes, equal to those of ``Tokenizer.encode(text, add_special_tokens=False)``.
@@ -21,24 +34,47 @@ class PieceEncoder:
     pieces go to the library again. Strings of special tokens inside a text count as ordinary text.
     """
 
-    def __init__(self, path: str, blank_leads: bool, limit: int = 300_000):
+    def __init__(self, path: str, blank_leads: bool, limit: int = 400_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
+        from tokenizers.pre_tokenizers import CharDelimiterSplit
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
         self.known: dict[str, bytes] = {}
+        self.known_first: dict[str, bytes] = {}
+        self.marks: dict[str, bytes] = {}
         self.limit = limit
         self.blank = " " if blank_leads else ""
+        self.words = Tokenizer(self.tokenizer.model)
+        self.words.pre_tokenizer = CharDelimiterSplit("\n")
         if blank_leads:  # a piece starts at each token that starts with a blank
             lead = self.tokenizer.encode(" ", add_special_tokens=False).tokens[0]
             self.starts = np.zeros(self.tokenizer.get_vocab_size(), bool)
             self.starts[[i for x, i in self.tokenizer.get_vocab().items() if x.startswith(lead)]] = True
         else:  # a lone digit is always a word of its own: it parts pieces that have none
             (self.digit,) = self.tokenizer.encode("0", add_special_tokens=False).ids
+            self.ends = np.zeros(self.tokenizer.get_vocab_size(), bool)
+            self.ends[[i for x, i in self.tokenizer.get_vocab().items() if x.endswith("</w>")]] = True
+
+    def _singly(self, pieces: list[str], blank: str) -> list[bytes]:
+        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast([blank + x for x in pieces], add_special_tokens=False)]
 
-    def _singly(self, pieces: list[str]) -> list[bytes]:
-        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast([self.blank + x for x in pieces], add_special_tokens=False)]
+    def _plain(self, words: list[str]) -> dict[str, bytes]:
+        """Ids of pieces of Latin letters alone. Such a piece is one pre-token, so the library's model gets it as it is, without its regular expressions."""
+        spelt = [x if x.isascii() else x.encode().decode("latin-1").translate(_BYTE_LETTERS) for x in (words if self.blank else map(str.lower, words))]
+        joined = "\u0120" + "\n\u0120".join(spelt) if self.blank else "\n".join(spelt)
+        ids = np.array(self.words.encode_batch_fast([joined], add_special_tokens=False)[0].ids, "<u4")
+        if self.blank:
+            begins = np.flatnonzero(self.starts[ids]).tolist()
+            ends = [*begins[1:], len(ids)]
+        else:
+            ends = (np.flatnonzero(self.ends[ids]) + 1).tolist()
+            begins = [0, *ends[:-1]]
+        if len(ends) != len(words):
+            return self._library(words)
+        raw = ids.tobytes()
+        return {x: raw[4 * i : 4 * j] for x, i, j in zip(words, begins, ends)}
 
     def _library(self, pieces: list[str]) -> dict[str, bytes]:
         """Ids of pieces that stood after a blank: joined to one text, for a call for each piece costs ten times as much."""
@@ -53,28 +89,61 @@ class PieceEncoder:
             at = np.flatnonzero(ids == self.digit).tolist()
             begins, ends = [0, *(x + 1 for x in at)], [*at, len(ids)]
         if len(ends) != len(plain):  # cannot happen while the cuts are safe; then nothing is taken from the joined text
-            return dict(zip(pieces, self._singly(pieces)))
+            return dict(zip(pieces, self._singly(pieces, self.blank)))
         out = {x: raw[4 * i : 4 * j] for x, i, j in zip(plain, begins, ends)}
         if len(out) < len(pieces):
             rest = [x for x in pieces if x not in out]
-            out.update(zip(rest, self._singly(rest)))
+            out.update(zip(rest, self._singly(rest, self.blank)))
+        return out
+
+    def _made(self, pieces: list[str]) -> dict[str, bytes]:
+        """Ids of new pieces. ASCII marks after a letter are a pre-token of their own, so word and marks are looked up apart."""
+        parted, words = [], {}
+        for x in pieces:
+            m = _MARKS.search(x)
+            if m and x[m.start() - 1].isalpha():
+                parted.append((x, x[: m.start()], m[0]))
+            else:
+                words[x] = None
+        missing = list({w for _, w, _ in parted if w not in self.known} | words.keys())
+        plain = [x for x in missing if _LATIN(x)]
+        out = self._plain(plain) if plain else {}
+        if len(out) < len(missing):
+            out.update(self._library([x for x in missing if x not in out]))
+        new = list({m for _, _, m in parted if m not in self.marks})
+        self.marks.update(zip(new, self._singly(new, "")))
+        for x, w, m in parted:
+            out[x] = (out.get(w) or self.known[w]) + self.marks[m]
+        if len(self.marks) > self.limit:
+            self.marks.clear()
         return out
 
     def encode_many(self, texts: list[str]) -> list[bytes]:
         """Ids of each text; the pieces that are not kept go to the library in one call."""
-        cuts = [(_SAFE_CUT.split(x) if self.blank and _UNSAFE.search(x) else x.split(" ")) if x else [] for x in texts]
-        get = self.known.get
-        found = [[get(x) for x in cut[1:]] for cut in cuts]
-        new = {x for cut, parts in zip(cuts, found) if None in parts for x, ids in zip(cut[1:], parts) if ids is None}
-        if new:
-            now = self._library(list(new))
-            for cut, parts in zip(cuts, found):
-                if None in parts:
-                    parts[:] = [now[x] if ids is None else ids for x, ids in zip(cut[1:], parts)]
-            if len(self.known) < self.limit:
-                self.known.update(now)
-        firsts = iter([np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast([cut[0] for cut in cuts if cut], add_special_tokens=False)])
-        return [b"".join([next(firsts), *parts]) if cut else b"" for cut, parts in zip(cuts, found)]
+        cuts = [[] if not x else x.split(" ") if not self.blank or _all_safe(x) else _SAFE_CUT.split(x) for x in texts]
+        known, first = self.known, self.known_first
+        new_first = list(set(filterfalse(first.__contains__, (cut[0] for cut in cuts if cut))))
+        first.update(zip(new_first, self._singly(new_first, "")))
+        pieces = list(chain.from_iterable(islice(cut, 1, None) for cut in cuts))
+        found = list(map(known.get, pieces))
+        missing = [i for i, ids in enumerate(found) if ids is None]
+        new: dict[str, bytes] = {}
+        if missing:
+            new = self._made(list({pieces[i] for i in missing}))
+            for i in missing:
+                found[i] = new[pieces[i]]
+        out, at = [], 0
+        for cut in cuts:
+            if cut:
+                n = len(cut) - 1
+                out.append(first[cut[0]] + b"".join(found[at : at + n]))
+                at += n
+            else:
+                out.append(b"")
+        known.update(islice(new.items(), max(0, self.limit - len(known))))
+        for x in new_first[: max(0, len(first) - self.limit)]:
+            del first[x]
+        return out
 
 
 _ENCODERS: dict[tuple[str, bool], PieceEncoder] = {}
