@@ -3,13 +3,15 @@
 from __future__ import annotations
 
 import re
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.types import DoubleType, LongType, StringType, StructField, StructType
+from pyspark.sql.types import ArrayType, DoubleType, LongType, StringType, StructField, StructType
 
 from .common import load, slices, small_batches, stored
 
@@ -38,78 +40,121 @@ _TOKEN = re.compile(r"[^\W_]+")
 VOCABULARY = sorted({w for _, t in TEMPLATES for w in _TOKEN.findall(t.lower())})
 
 
-def document_counts(docs: DataFrame, text_column: str = "text") -> tuple[int, dict[str, int]]:
-    """Number of documents and, for every word of the templates, of documents that have it; each partition sends a row per word."""
+def document_counts(docs: DataFrame, text_column: str = "text") -> tuple[int, DataFrame]:
+    """Number of documents and (word, n): of every word of the texts, the documents that have it; a task's rows are summed before they are dealt out by word."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total, seen, words = 0, np.zeros(len(VOCABULARY), np.int64), {w: k for k, w in enumerate(VOCABULARY)}
+        def rows() -> pa.RecordBatch:
+            out = pa.RecordBatch.from_arrays([pa.array(list(seen), pa.string()), pa.array(list(seen.values()), pa.int64())], ["word", "n"])
+            seen.clear()
+            return out
+
+        total, seen = 0, Counter()
         for batch in slices(batches):
             for text in batch.column("text").to_pylist():
                 total += 1
-                for w in words.keys() & set(_TOKEN.findall((text or "").lower())):
-                    seen[words[w]] += 1
-        yield pa.RecordBatch.from_arrays([pa.array([*VOCABULARY, None], pa.string()), pa.array([*seen.tolist(), total], pa.int64())], ["word", "n"])
+                seen.update(set(_TOKEN.findall((text or "").lower())))
+            if len(seen) > 100_000:
+                yield rows()
+        seen[None] = total
+        yield rows()
+
+    found = docs.select(F.col(text_column).cast("string").alias("text")).mapInArrow(count, "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
+    counts = stored(found, "words")
+    (total,) = counts.filter("word is null").agg(F.coalesce(F.sum("n"), F.lit(0))).first()
+    return total, counts.filter("word is not null")
+
 
-    found = docs.select(F.col(text_column).cast("string").alias("text")).mapInArrow(count, "word string, n long").groupBy("word").agg(F.sum("n").alias("n")).collect()
-    counts = {r["word"]: r["n"] for r in found}
-    return counts.pop(None, 0), counts
+def known_counts(total: int, counts: DataFrame) -> dict[str, int]:
+    """Of the words of the templates, and of those that a hundredth of the documents have: at most a hundred times as many as a document has."""
+    return {r["word"]: r["n"] for r in counts.filter(F.col("word").isin(*VOCABULARY) | (100 * F.col("n") >= total)).collect()}
 
 
 class Matcher:
-    """Cosine of lines with templates; weights are log((1 + documents) / (1 + documents with the word)) + 1, and a word of no template weighs as a word of one document."""
+    """Cosine of lines with templates; the weight of a word is log((1 + documents) / (1 + documents with the word)) + 1.
+
+    A word of no template that ``counts`` lacks is missing: with it a cosine is an upper bound (no weight
+    is below 1), and if that reaches the threshold, its number of documents has to be looked up.
+    """
 
     def __init__(self, total: int, counts: dict[str, int], threshold: float):
-        self.weight = {w: float(np.log((1 + total) / (1 + counts.get(w, 0))) + 1) for w in VOCABULARY}
-        self.other = float(np.log((1 + total) / 2) + 1)
-        self.threshold = threshold
-        self.vectors, self.postings = [], {}
+        self.total, self.threshold = total, threshold
+        self.weights = {w: self.weight(n) for w, n in {**dict.fromkeys(VOCABULARY, 0), **counts}.items()}
+        self.vectors: list[dict[str, float]] = []
+        self.postings: dict[str, list[int]] = {}
         for k, (_, text) in enumerate(TEMPLATES):
-            v: dict[str, float] = {}
-            for w in _TOKEN.findall(text.lower()):
-                v[w] = v.get(w, 0.0) + self.weight[w]
+            v = {w: n * self.weights[w] for w, n in Counter(_TOKEN.findall(text.lower())).items()}
             norm = sum(x * x for x in v.values()) ** 0.5
-            for w, x in v.items():
-                self.postings.setdefault(w, []).append((k, x / norm))
-
-    def line(self, line: str) -> tuple[float, int]:
-        """(cosine, template) of the nearest template, the first of equals; (0, -1) if it shares no word with any."""
+            self.vectors.append({w: x / norm for w, x in v.items()})
+            for w in self.anchors(self.vectors[k]):
+                self.postings.setdefault(w, []).append(k)
+
+    def weight(self, n: int) -> float:
+        return float(np.log((1 + self.total) / (1 + n)) + 1)
+
+    def anchors(self, vector: dict[str, float]) -> list[str]:
+        """The heaviest words of a template, so many that text with none of them stays below the threshold, whatever else it has."""
+        words = sorted(vector, key=lambda w: (-vector[w], w))
+        rest = 1.0
+        for i, w in enumerate(words):
+            if rest < self.threshold**2 - 1e-9:
+                return words[:i]
+            rest -= vector[w] ** 2
+        return words
+
+    def compare(self, tokens: list[str], k: int, looked_up: dict[str, int]) -> tuple[float, list[str]]:
+        """Cosine with a template, or its upper bound, and the missing words."""
+        vector, dot, norm, missing = self.vectors[k], 0.0, 0.0, []
+        for w, n in Counter(tokens).items():
+            x = self.weights.get(w)
+            if x is None:
+                if w in looked_up:
+                    x = self.weight(looked_up[w])
+                else:
+                    missing.append(w)
+                    x = 1.0
+            norm += (n * x) ** 2
+            if w in vector:
+                dot += n * x * vector[w]
+        return dot / norm**0.5, missing
+
+    def line(self, line: str, looked_up: dict[str, int], missing: set[str]) -> tuple[float, int]:
+        """(cosine, template) of the nearest template, the first of equals; (0, -1) if none can reach the threshold."""
         tokens = _TOKEN.findall(line.lower())
-        own: dict[str, float] = {}
-        for w in tokens:
-            own[w] = own.get(w, 0.0) + self.weight.get(w, self.other)
-        sums: dict[int, float] = {}
-        for w in own.keys() & self.postings.keys():
-            for k, x in self.postings[w]:
-                sums[k] = sums.get(k, 0.0) + own[w] * x
-        if not sums:
-            return 0.0, -1
-        norm = sum(x * x for x in own.values()) ** 0.5
-        k = min(sums, key=lambda k: (-sums[k], k))
-        return sums[k] / norm, k
-
-    def text(self, text: str) -> tuple[int, int, float, int]:
-        """(lines, lines that match, best cosine, its template)."""
+        best = (0.0, -1)
+        for k in sorted({k for w in self.postings.keys() & set(tokens) for k in self.postings[w]}):
+            cosine, lacks = self.compare(tokens, k, looked_up)
+            if cosine >= self.threshold:
+                missing.update(lacks)
+                best = max(best, (cosine, k), key=lambda r: (r[0], -r[1]))
+        return best
+
+    def text(self, text: str, looked_up: dict[str, int]) -> tuple[int, int, float, int, list[str]]:
+        """(lines, lines that match, best cosine, its template, missing words); the first four hold if no word is missing."""
         lines = [x for x in text.split("\n") if x.strip()]
-        matched, best, which = 0, 0.0, -1
+        matched, best, which, missing = 0, 0.0, -1, set()
+        if self.postings.keys().isdisjoint(_TOKEN.findall(text.lower())):
+            return len(lines), 0, 0.0, -1, []
         for x in lines:
             if len(x) > 2000:  # a line that long is cut into overlapping windows of words, so that a notice inside is seen
                 words = x.split()
                 parts = [" ".join(words[i : i + 24]) for i in range(0, len(words), 12)]
             else:
                 parts = [x]
-            hit = max((self.line(p) for p in parts), key=lambda r: (r[0], -r[1]), default=(0.0, -1))
+            hit = max((self.line(p, looked_up, missing) for p in parts), key=lambda r: (r[0], -r[1]), default=(0.0, -1))
             if hit[0] >= self.threshold:
                 matched += 1
                 if hit[0] > best:
                     best, which = hit
-        return len(lines), matched, best, which
+        return len(lines), matched, best, which, sorted(missing)
 
 
 def scan(files: DataFrame, path_column: str = "path", text_column: str = "text", threshold: float = 0.7) -> DataFrame:
     """Add ``own_license``, ``similarity``, ``n_lines``, ``n_matched``, ``license``, ``inherited_from`` and ``permissive`` to ``files``.
 
     Every line of every text is compared with the templates; the best one of at least ``threshold``
-    is the file's own licence (of equals the first line's, then the first template's). A file whose lines
+    is the file's own licence (of equals the first line's, then the first template's). The few lines whose
+    verdict hangs on words that few documents have are judged once those words' counts are joined to them. A file whose lines
     are at least half notices is the licence file of its directory (of several in one directory
     that with the highest cosine, then the smallest path). A file without own licence takes that of
     the nearest directory above it that has a licence file: the directories above a path, as many
@@ -117,20 +162,29 @@ def scan(files: DataFrame, path_column: str = "path", text_column: str = "text",
     their own; a null path inherits nothing; columns of the results' names are replaced.
     """
     new = [StructField("n_lines", LongType()), StructField("n_matched", LongType()), StructField("similarity", DoubleType()), StructField("own_license", StringType())]
-    files = files.drop(*(f.name for f in new), "license", "inherited_from", "permissive", "__row")
+    files = files.drop(*(f.name for f in new), "license", "inherited_from", "permissive", "__row", "__missing", "__text", "__counts")
     small_batches(files.sparkSession)
     total, counts = document_counts(files, text_column)
+    known = known_counts(total, counts)
+    kept = [f for f in files.schema.fields if f.name != text_column]
+    undecided = [StructField("__row", StringType()), StructField("__missing", ArrayType(StringType())), StructField("__text", StringType())]
 
     def match(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        matcher = Matcher(total, counts, threshold)
+        matcher, part, at = Matcher(total, known, threshold), TaskContext.get().partitionId(), 0
         for batch in slices(batches, column=text_column):
-            rows = [matcher.text(x or "") for x in batch.column(text_column).to_pylist()]
+            texts = [x or "" for x in batch.column(text_column).to_pylist()]
+            looked_up = [dict(x) for x in batch.column("__counts").to_pylist()] if "__counts" in batch.schema.names else [{}] * len(texts)
+            rows = [matcher.text(*x) for x in zip(texts, looked_up)]
             columns = [pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int64()), pa.array([r[2] for r in rows], pa.float64()), pa.array([TEMPLATES[r[3]][0] if r[3] >= 0 else None for r in rows], pa.string())]
-            keep = [i for i, n in enumerate(batch.schema.names) if n != text_column]
-            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in keep), *columns], [*(batch.schema.names[i] for i in keep), *(f.name for f in new)])
-
-    kept = [f for f in files.schema.fields if f.name != text_column]
-    own = stored(files.mapInArrow(match, StructType([*kept, *new])), "licences")
+            columns += [pa.array([f"{part}-{at + i}" for i in range(len(rows))]), pa.array([r[4] or None for r in rows], pa.list_(pa.string())), pa.array([x if r[4] else None for x, r in zip(texts, rows)], pa.string())]
+            at += len(rows)
+            yield pa.RecordBatch.from_arrays([*(batch.column(f.name) for f in kept), *columns], [f.name for f in (*kept, *new, *undecided)])
+
+    first = stored(files.withColumn(text_column, F.col(text_column).cast("string")).mapInArrow(match, StructType([*kept, *new, *undecided])), "licences")
+    open_rows = first.filter("__missing is not null")
+    entries = open_rows.select("__row", F.explode("__missing").alias("word")).join(counts, "word").groupBy("__row").agg(F.collect_list(F.struct("word", "n")).alias("c"))
+    again = open_rows.select("__row", *(f.name for f in kept), F.col("__text").alias(text_column)).join(entries.select("__row", F.map_from_entries("c").alias("__counts")), "__row").drop("__row")
+    own = stored(first.filter("__missing is null").drop("__row", "__missing", "__text").unionByName(again.mapInArrow(match, StructType([*kept, *new, *undecided])).drop("__row", "__missing", "__text")), "licences")
     directory = F.regexp_replace(F.col(path_column), "/?[^/]*$", "")
     notices = own.filter(F.col(path_column).isNotNull() & F.col("own_license").isNotNull() & (2 * F.col("n_matched") >= F.col("n_lines")))
     best = F.min(F.struct((-F.col("similarity")).alias("s"), F.col(path_column).alias("p"), F.col("own_license").alias("l")))

@@ -329,6 +329,14 @@ def test_licences(spark, odd, empty):
     assert licenses.scan(empty.withColumn("path", F.lit("a"))).count() == 0
 
 
+@pytest.mark.parametrize("n", [20, 3000])
+def test_licences_do_not_depend_on_the_number_of_files(spark, n):
+    other = spark.range(n).selectExpr("id AS doc_id", "concat('p/', id) AS path", "if(id % 2 = 0, 'this small old file here is under the hill', 'nothing') AS text")
+    made = spark.createDataFrame([(-1, "n/a.txt", "This small old file here is released under the MIT License."), (-2, "n/b.txt", "Bxqz is licensed under the Apache License, Version 2.0.")], "doc_id long, path string, text string")
+    rows = licenses.scan(other.union(made)).collect()
+    assert len(rows) == n + 2 and {r["doc_id"]: r["own_license"] for r in rows if r["own_license"]} == {-1: "MIT", -2: "Apache-2.0"}
+
+
 def test_archives(spark, tmp_path):
     tricky = "x\r\n\r\nWARC/1.1\r\nContent-Length: 5\r\n\r\ny"
     pages = spark.createDataFrame([(3, "http://a.b/c d#e", "<p>é</p>", 1), (1, "https://h", "<p>é</p>", 1), (2, None, None, 1), (4, "u", "", 1), (5, "http://z/?q=1", tricky, 1), (None, "n", "<p>é</p>", 1), (6, "r", "same", 1), (6, "r", "same", 1)], "page_id long, url string, html string, digest int")
