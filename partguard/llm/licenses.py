@@ -36,6 +36,8 @@ TEMPLATES: list[tuple[str, str]] = [
     ("Proprietary", "All rights reserved."),
 ]
 PERMISSIVE = ("Apache-2.0", "MIT", "BSD-3-Clause", "CC-BY-4.0", "CC0-1.0", "MPL-2.0")
+#: The word that names a licence: where a template has it, text without it is no match, however much of the rest is there.
+NAMES = {"Apache-2.0": "apache", "MIT": "mit", "GPL-3.0": "gnu", "LGPL-3.0": "lesser", "AGPL-3.0": "affero", "BSD-3-Clause": "bsd", "MPL-2.0": "mozilla", "CC-BY-4.0": "cc", "CC-BY-SA-4.0": "sa", "CC-BY-NC-4.0": "nc", "CC0-1.0": "cc0", "Proprietary": "reserved"}
 _TOKEN = re.compile(r"[^\W_]+")
 VOCABULARY = sorted({w for _, t in TEMPLATES for w in _TOKEN.findall(t.lower())})
 
@@ -82,11 +84,14 @@ class Matcher:
         self.weights = {w: self.weight(n) for w, n in {**dict.fromkeys(VOCABULARY, 0), **counts}.items()}
         self.vectors: list[dict[str, float]] = []
         self.postings: dict[str, list[int]] = {}
-        for k, (_, text) in enumerate(TEMPLATES):
-            v = {w: n * self.weights[w] for w, n in Counter(_TOKEN.findall(text.lower())).items()}
+        self.sizes: list[int] = []
+        for k, (licence, text) in enumerate(TEMPLATES):
+            tokens = _TOKEN.findall(text.lower())
+            v = {w: n * self.weights[w] for w, n in Counter(tokens).items()}
             norm = sum(x * x for x in v.values()) ** 0.5
             self.vectors.append({w: x / norm for w, x in v.items()})
-            for w in self.anchors(self.vectors[k]):
+            self.sizes.append(len(tokens))
+            for w in [NAMES[licence]] if NAMES[licence] in v else self.anchors(self.vectors[k]):
                 self.postings.setdefault(w, []).append(k)
 
     def weight(self, n: int) -> float:
@@ -118,16 +123,26 @@ class Matcher:
                 dot += n * x * vector[w]
         return dot / norm**0.5, missing
 
-    def line(self, line: str, looked_up: dict[str, int], missing: set[str]) -> tuple[float, int]:
-        """(cosine, template) of the nearest template, the first of equals; (0, -1) if none can reach the threshold."""
-        tokens = _TOKEN.findall(line.lower())
-        best = (0.0, -1)
-        for k in sorted({k for w in self.postings.keys() & set(tokens) for k in self.postings[w]}):
-            cosine, lacks = self.compare(tokens, k, looked_up)
-            if cosine >= self.threshold:
-                missing.update(lacks)
-                best = max(best, (cosine, k), key=lambda r: (r[0], -r[1]))
-        return best
+    def hits(self, tokens: list[str], looked_up: dict[str, int], missing: set[str]) -> list[tuple[float, int, int, int]]:
+        """(-cosine, template, start, end) of all windows, as long as their template or the whole of shorter ``tokens``, that can reach the threshold."""
+        at: dict[int, list[int]] = {}
+        for i, w in enumerate(tokens):
+            for k in self.postings.get(w, ()):
+                at.setdefault(k, []).append(i)
+        out = []
+        for k, places in at.items():
+            vector, size, starts = self.vectors[k], self.sizes[k], set()
+            for i in places:
+                low, high = max(0, i - size + 1), max(0, min(i, len(tokens) - size))
+                near = vector.keys() & set(tokens[low : high + size])
+                if sum(vector[w] ** 2 for w in near) >= self.threshold**2 - 1e-9:
+                    starts.update(range(low, high + 1))
+            for i in sorted(starts):
+                cosine, lacks = self.compare(tokens[i : i + size], k, looked_up)
+                if cosine >= self.threshold:
+                    missing.update(lacks)
+                    out.append((-cosine, k, i, min(i + size, len(tokens))))
+        return out
 
     def text(self, text: str, looked_up: dict[str, int]) -> tuple[int, int, float, int, list[str]]:
         """(lines, lines that match, best cosine, its template, missing words); the first four hold if no word is missing."""
@@ -136,23 +151,20 @@ class Matcher:
         if self.postings.keys().isdisjoint(_TOKEN.findall(text.lower())):
             return len(lines), 0, 0.0, -1, []
         for x in lines:
-            if len(x) > 2000:  # a line that long is cut into overlapping windows of words, so that a notice inside is seen
-                words = x.split()
-                parts = [" ".join(words[i : i + 24]) for i in range(0, len(words), 12)]
-            else:
-                parts = [x]
-            hit = max((self.line(p, looked_up, missing) for p in parts), key=lambda r: (r[0], -r[1]), default=(0.0, -1))
-            if hit[0] >= self.threshold:
+            found = self.hits(_TOKEN.findall(x.lower()), looked_up, missing)
+            if found:
                 matched += 1
-                if hit[0] > best:
-                    best, which = hit
+                cosine, k, _, _ = min(found)
+                if -cosine > best:
+                    best, which = -cosine, k
         return len(lines), matched, best, which, sorted(missing)
 
 
 def scan(files: DataFrame, path_column: str = "path", text_column: str = "text", threshold: float = 0.7) -> DataFrame:
     """Add ``own_license``, ``similarity``, ``n_lines``, ``n_matched``, ``license``, ``inherited_from`` and ``permissive`` to ``files``.
 
-    Every line of every text is compared with the templates; the best one of at least ``threshold``
+    In every line of every text a window as long as the template slides over the words near the template's
+    name or rare words, whatever the line's length; the best one of at least ``threshold``
     is the file's own licence (of equals the first line's, then the first template's). The few lines whose
     verdict hangs on words that few documents have are judged once those words' counts are joined to them. A file whose lines
     are at least half notices is the licence file of its directory (of several in one directory

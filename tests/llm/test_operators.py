@@ -337,6 +337,17 @@ def test_licences_do_not_depend_on_the_number_of_files(spark, n):
     assert len(rows) == n + 2 and {r["doc_id"]: r["own_license"] for r in rows if r["own_license"]} == {-1: "MIT", -2: "Apache-2.0"}
 
 
+def test_licences_inside_long_lines(spark):
+    grant = licenses.TEMPLATES[4][1]
+    prose = lambda k, n: " ".join(f"w{(k * 31 + i * 7) % 50}" for i in range(n))
+    texts = {1: ("CC-BY-NC-4.0", "word " * 900 + "Licensed under CC BY-NC 4.0. " + "word " * 900), 2: ("MIT", f"{prose(2, 100)} {grant} {prose(3, 100)}")}
+    texts |= {10 + k: ("MIT", f"{prose(k, 400 + k)} Released under the MIT License. {prose(k, 300)}") for k in range(24)}
+    texts |= {40 + k: ("MIT", f"{prose(k, 800 + k)} {grant} {prose(k, 300)}") for k in range(24)}
+    texts |= {70: (None, f"{prose(1, 50)} all rights to the boat, released under the bridge {prose(1, 50)}"), 71: (None, "SPDX-License-Identifier: Zlib")}
+    rows = licenses.scan(spark.createDataFrame([(i, f"p/{i}", t) for i, (_, t) in texts.items()], "doc_id long, path string, text string")).collect()
+    assert {r["doc_id"]: r["own_license"] for r in rows} == {i: want for i, (want, _) in texts.items()}
+
+
 def test_archives(spark, tmp_path):
     tricky = "x\r\n\r\nWARC/1.1\r\nContent-Length: 5\r\n\r\ny"
     pages = spark.createDataFrame([(3, "http://a.b/c d#e", "<p>é</p>", 1), (1, "https://h", "<p>é</p>", 1), (2, None, None, 1), (4, "u", "", 1), (5, "http://z/?q=1", tricky, 1), (None, "n", "<p>é</p>", 1), (6, "r", "same", 1), (6, "r", "same", 1)], "page_id long, url string, html string, digest int")
