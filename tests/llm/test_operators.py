@@ -348,6 +348,22 @@ def test_licences_inside_long_lines(spark):
     assert {r["doc_id"]: r["own_license"] for r in rows} == {i: want for i, (want, _) in texts.items()}
 
 
+def test_licence_files_and_wrapped_headers(spark):
+    files = [(f"{x}/LICENSE", x, text) for x, text in licenses.FULL]
+    mit = dict(licenses.FULL)["MIT"].replace("<year> <copyright holders>", "2020 Zorblax Qwrt Industries")
+    files += [("own/COPYING.txt", "MIT", mit), ("code/a.c", "Apache-2.0", "/* Foo\n * Licensed under the\n * Apache License, Version\n * 2.0.\n */\nint main() { return 0; }\n" + "x = y + z;\n" * 20)]
+    files += [("both/NOTICE", "Apache-2.0", "Licensed under the Apache License, Version 2.0.\nReleased under the MIT License.")]
+    below = [(f"{p.split('/')[0]}/src/deep/x.c", None, "int x = 1;") for p, _, _ in files]
+    prose = [(f"prose/{i}", None, "the work of the day and the rights of the people under the law to be in this and that or any other form " * 9) for i in range(30)]
+    rows = licenses.scan(spark.createDataFrame([(p, t) for p, _, t in files + below + prose], "path string, text string")).collect()
+    got = {r["path"]: r for r in rows}
+    assert {p: got[p]["own_license"] for p, _, _ in files + below + prose} == {p: x for p, x, _ in files + below + prose}
+    for p, x, _ in files:
+        under = got[f"{p.split('/')[0]}/src/deep/x.c"]
+        assert (under["license"], under["inherited_from"]) == ((None, None) if p == "code/a.c" else (x, p))
+    assert got["code/a.c"]["n_matched"] == 3 and got["both/NOTICE"]["n_matched"] == 2 and got["own/COPYING.txt"]["permissive"]
+
+
 def test_archives(spark, tmp_path):
     tricky = "x\r\n\r\nWARC/1.1\r\nContent-Length: 5\r\n\r\ny"
     pages = spark.createDataFrame([(3, "http://a.b/c d#e", "<p>é</p>", 1), (1, "https://h", "<p>é</p>", 1), (2, None, None, 1), (4, "u", "", 1), (5, "http://z/?q=1", tricky, 1), (None, "n", "<p>é</p>", 1), (6, "r", "same", 1), (6, "r", "same", 1)], "page_id long, url string, html string, digest int")
