@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from partguard.llm import bpe, hyperdim, nbsvm, near_dedup, packing
 from partguard.llm.common import load, stored
@@ -20,9 +21,11 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keep the documents whose language is known: those of which no letter can be read, or whose two nearest languages are equally near, go."""
+    """Keep the documents in a language of this input: the cosine with its prototype and the lead over the next one reach the limits that held-out documents set."""
+    cosine, margin = hyperdim.limits(docs)
     langs, prototypes = hyperdim.train(docs)
-    return hyperdim.predict(docs.select(*COLUMNS), langs, prototypes).filter(f"lang_pred <> '{hyperdim.UNKNOWN}' and score > 0.5").select(*COLUMNS)
+    found = hyperdim.predict(docs.select(*COLUMNS), langs, prototypes, with_cosine=True)
+    return found.filter((F.col("lang_pred") != hyperdim.UNKNOWN) & (F.col("cosine") >= cosine) & (F.col("margin") >= margin)).select(*COLUMNS)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -151,6 +151,18 @@ def test_language(spark, sf, docs, odd, empty):
     assert {r["lang_pred"] for r in hyperdim.predict(odd, [], np.zeros((0, 64))).collect()} == {"und"}
 
 
+def test_language_stage_rejects_what_is_in_no_known_language(spark, docs):
+    import corpus_pipeline
+
+    rng = random.Random(1)
+    noise = lambda n: "".join(rng.choice("abcdefghijklmnopqrstuvwxyz    ") for _ in range(n))
+    strange = ["Слава труду и миру во всём мире, и людям доброй воли", "日本語の文章です。今日は天気がいいですね。", "Ala ma kota, a kot ma psa; to jest zdanie po polsku.", "12 34", *(noise(n) for n in (20, 60, 600, 6000))]
+    extra = spark.createDataFrame([(-1 - i, x, None, "s", len(x)) for i, x in enumerate(strange)], docs.schema)
+    kept = [r["doc_id"] for r in corpus_pipeline.language(spark, docs.unionByName(extra), "").select("doc_id").collect()]
+    clean = {r["doc_id"] for r in docs.collect() if sum(c.isalpha() for c in r["text"]) >= 100}
+    assert not [i for i in kept if i < 0] and len(clean - set(kept)) <= 0.01 * len(clean)
+
+
 def test_sum_of_products_is_the_cosine():
     texts = ["the quick brown fox", "der schnelle braune Fuchs"]
     space, dim = hyperdim.Space(256, 7), 256
