@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -59,15 +61,28 @@ def performance_drop(metrics: DataFrame, metric: str, drop: float = 0.05, k: int
 
 
 def quality_model(spark: SparkSession, docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """(ds, n, accuracy) of a logistic regression on counts of the text, refitted on all earlier batches: the stand-in with real signal."""
-    from pyspark.ml import Pipeline
-    from pyspark.ml.classification import LogisticRegression
-    from pyspark.ml.feature import VectorAssembler
+    """(ds, n, accuracy) of a linear model on counts of the text, refitted for each batch on all batches before it: the stand-in with real signal.
 
-    text = F.col("text")
+    The model is least squares with a small ridge on the label as 0 or 1, cut at a half. It needs only sums of products,
+    which are kept by batch and run up to the batch before; every labelled batch after the first gets a row. A row a batch passes through the window without key.
+    """
+    text = F.coalesce(F.col("text"), F.lit(""))
     share = lambda pattern: F.length(F.regexp_replace(text, pattern, "")) / F.greatest(F.length(text), F.lit(1))
-    rows = docs.join(labels, "doc_id").select(F.floor(F.col("doc_id") / 50).alias("ds"), F.col("quality").cast("double").alias("label"), (1 - share(r"[^\w\s]")).alias("marks"), (1 - share(r"[A-Z]")).alias("upper"), F.log1p(F.length(text)).alias("size"))
-    cut = rows.agg(F.percentile_approx("ds", 0.5)).first()[0]
-    model = Pipeline(stages=[VectorAssembler(inputCols=["marks", "upper", "size"], outputCol="x"), LogisticRegression(featuresCol="x", maxIter=20)]).fit(rows.filter(F.col("ds") < cut))
-    scored = model.transform(rows.filter(F.col("ds") >= cut))
-    return scored.groupBy("ds").agg(F.count("*").alias("n"), F.avg((F.col("prediction") == F.col("label")).cast("double")).alias("accuracy"))
+    rows = docs.join(labels, "doc_id").filter("quality is not null").select(F.floor(F.col("doc_id") / 50).alias("ds"), F.col("quality").cast("double").alias("label"), F.lit(1.0).alias("one"), (1 - share(r"[^\w\s]")).alias("marks"), (1 - share(r"[A-Z]")).alias("upper"), F.log1p(F.length(text)).alias("size"))
+    x = ["one", "marks", "upper", "size"]
+    products = {f"{a}_{b}": F.sum(F.col(a) * F.col(b)) for i, a in enumerate(x) for b in [*x[i:], "label"]}
+    batches = rows.groupBy("ds").agg(*(v.alias(k) for k, v in products.items()))
+    before = Window.orderBy("ds").rowsBetween(Window.unboundedPreceding, -1)
+    past = batches.select("ds", *(F.sum(k).over(before).alias(k) for k in products)).filter("one_one is not null")
+
+    @F.pandas_udf("array<double>")
+    def fit(sums: pd.DataFrame) -> pd.Series:
+        out = []
+        for r in sums.to_dict("records"):
+            square = np.array([[r[f"{x[min(i, j)]}_{x[max(i, j)]}"] for j in range(len(x))] for i in range(len(x))])
+            out.append(np.linalg.solve(square + 1e-6 * np.eye(len(x)), np.array([r[f"{a}_label"] for a in x])))
+        return pd.Series(out)
+
+    models = past.select("ds", fit(F.struct(*products)).alias("w"))
+    prediction = (sum(F.col("w")[i] * F.col(a) for i, a in enumerate(x)) >= 0.5).cast("double")
+    return rows.join(models, "ds").groupBy("ds").agg(F.count("*").alias("n"), F.avg((prediction == F.col("label")).cast("double")).alias("accuracy"))

@@ -1,5 +1,7 @@
 """Hand-checked examples and properties of the methods."""
 
+import re
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -228,3 +230,21 @@ def test_sparse_graph_equals_the_dense_one(spark, low):
     for (a, b), w in sparse.items():
         assert w == pytest.approx(dense[a, b], rel=1e-3)
     assert len(sparse) == (np.triu(dense, 1) > 1e-12).sum()
+
+
+def test_quality_model_is_refitted_for_every_batch(spark, sf):
+    docs, labels = (spark.read.parquet(f"{sf}/{t}.parquet") for t in ("documents", "labels"))
+    got = {r["ds"]: (r["n"], r["accuracy"]) for r in lb.quality_model(spark, docs, labels).collect()}
+    by_batch = {}
+    for r in docs.join(labels, "doc_id").collect():
+        n = max(len(r["text"]), 1)
+        marks = sum(not (re.match(r"[A-Za-z0-9_]", c) or c in " \t\n\x0b\f\r") for c in r["text"]) / n
+        upper = sum("A" <= c <= "Z" for c in r["text"]) / n
+        by_batch.setdefault(r["doc_id"] // 50, []).append(([1.0, marks, upper, np.log1p(len(r["text"]))], r["quality"]))
+    order, want = sorted(by_batch), {}
+    for k, ds in enumerate(order[1:], 1):
+        x, y = (np.array(v, float) for v in zip(*(row for d in order[:k] for row in by_batch[d])))
+        w = np.linalg.solve(x.T @ x + 1e-6 * np.eye(4), x.T @ y)
+        want[ds] = (len(by_batch[ds]), np.mean([(np.dot(w, v) >= 0.5) == bool(q) for v, q in by_batch[ds]]))
+    assert got.keys() == want.keys() and all(got[d][0] == n and got[d][1] == pytest.approx(a) for d, (n, a) in want.items())
+    assert np.average([a for _, a in got.values()], weights=[n for n, _ in got.values()]) > 0.8
