@@ -135,7 +135,7 @@ add("roll_base_spread", "ds:s feature s:4 base:4 spread:4", lambda spark, d: ro.
 add("roll_rel_change", "ds:s feature rel:6", lambda spark, d: ro.changes(low(spark, d), "completeness"), [*S_LOW, *o.changes("completeness")], "c")
 add("roll_z_change", "ds:s feature z:5", lambda spark, d: ro.changes(low(spark, d), "completeness"), [*S_LOW, *o.changes("completeness")], "c")
 add("roll_z_population", "ds:s feature z:5", lambda spark, d: ro.changes(low(spark, d), "completeness", ddof=0), [*S_LOW, *o.changes("completeness", ddof=0)], "c")
-add("roll_dynamic_bounds", "ds:s feature lo:4 hi:4 inside", lambda spark, d: ro.dynamic_bounds(low(spark, d).filter("feature in ('amount', 'prop_k')"), "mean"), [*S_LOW, *o.changes("mean"), "r AS (SELECT ds, feature, base - 3 * spread AS lo, base + 3 * spread AS hi, s BETWEEN base - 3 * spread AND base + 3 * spread AS inside FROM c WHERE feature IN ('amount', 'prop_k'))"])
+add("roll_dynamic_bounds", "ds:s feature lo:4 hi:4 inside", lambda spark, d: ro.dynamic_bounds(low(spark, d), "mean"), [*S_LOW, *o.changes("mean"), "r AS (SELECT ds, feature, base - 3 * spread AS lo, base + 3 * spread AS hi, s BETWEEN base - 3 * spread AND base + 3 * spread AS inside FROM c)"])
 add("static_bounds", "ds:s feature inside", lambda spark, d: ro.static_bounds(low(spark, d), "completeness", 0.1, 1.0), [*S_LOW, "r AS (SELECT ds, feature, completeness BETWEEN 0.1 AND 1.0 AS inside FROM s)"])
 add("compare_previous", "ds:s feature rel:6", lambda spark, d: ro.vs_previous(low(spark, d), "completeness"), [*S_LOW, "q AS (SELECT ds, feature, completeness AS s, lag(completeness) OVER (PARTITION BY feature ORDER BY ds) AS base FROM s)", "r AS (SELECT ds, feature, CASE WHEN base <> 0 THEN (s - base) / base END AS rel FROM q)"])
 add("compare_history_union", "ds:s feature h_completeness:6 h_mean:3 h_stddev:3", lambda spark, d: ro.vs_history(low(spark, d).filter("kind <> 'C'")),
@@ -173,13 +173,12 @@ add("zscore_nocutoff", SCORE, lambda spark, d: sc.zscore_score(low(spark, d), ta
 add("zscore_share", SCORE, lambda spark, d: sc.zscore_score(low(spark, d), contrib="indicator"), [*S_LOW, *o.changes("completeness"), o.scored("CASE WHEN abs(z) >= 3 THEN 1 ELSE 0 END")])
 for _kind in ("ks", "w1", "dts"):
     add(f"dist_{_kind}", "ds:s feature h:3", lambda spark, d, k=_kind: sc.distances(low(spark, d), k), [*S_LOW, *o.distances(_kind)], "h")
-add("dist_ks_probability", "ds:s feature h:6", lambda spark, d: sc.distances(low(spark, d).filter("feature in ('amount', 'secs', 'amt_purchase')"), "ks_probability"), [*S_LOW, "t AS (SELECT * FROM s WHERE feature IN ('amount', 'secs', 'amt_purchase'))", *o.distances("ks_probability", source="t")], "h")
+add("dist_ks_probability", "ds:s feature h:6", lambda spark, d: sc.distances(low(spark, d), "ks_probability"), [*S_LOW, *o.distances("ks_probability")], "h")
 add("distance_alerts", SCORE.replace("5", "3"), lambda spark, d: sc.distance_score(low(spark, d), "w1"), [*S_LOW, *o.distances("w1"), "r AS (SELECT ds, avg(h) AS score FROM h GROUP BY ds)"])
-_TESTED = "feature IN ('amount', 'amt_purchase', 'secs', 'prop_k')"
 for _kind in ("ks", "w1", "dts"):
-    _p = [*S_LOW, f"t AS (SELECT * FROM s WHERE {_TESTED})", *o.distances(_kind, source="t"), *o.hashed_p(_kind)]
-    add(f"pvalue_md5_{_kind}", "ds:s feature p:6", lambda spark, d, k=_kind: sc.resample_hashed(sc.distances(low(spark, d).filter(_TESTED), k), k), _p, "p")
-    add(f"two_sample_{_kind}", "ds:s score:6", lambda spark, d, k=_kind: sc.two_sample_score(sc.resample_hashed(sc.distances(low(spark, d).filter(_TESTED), k), k)), [*_p, "r AS (SELECT ds, avg(CASE WHEN p <= 0.05 THEN 1.0 ELSE 0.0 END) AS score FROM p GROUP BY ds)"])
+    _p = [*S_LOW, *o.distances(_kind), *o.hashed_p(_kind)]
+    add(f"pvalue_md5_{_kind}", "ds:s feature p:6", lambda spark, d, k=_kind: sc.resample_hashed(sc.distances(low(spark, d), k), k), _p, "p")
+    add(f"two_sample_{_kind}", "ds:s score:6", lambda spark, d, k=_kind: sc.two_sample_score(sc.resample_hashed(sc.distances(low(spark, d), k), k)), [*_p, "r AS (SELECT ds, avg(CASE WHEN p <= 0.05 THEN 1.0 ELSE 0.0 END) AS score FROM p GROUP BY ds)"])
     add(f"two_sample_resampled_{_kind}", "ds:s score:6", lambda spark, d, k=_kind: sc.two_sample_score(sc.resample(sc.distances(low(spark, d), k), k)))
 for _short, _how in {"within": "within_vector", "perdim": "per_dimension", "none": "none"}.items():
     add(f"knn_baseline_{_short}", "ds:s score:4", lambda spark, d, h=_how: sc.knn_score(low(spark, d), rescale=h), [*S_LOW, *o.knn(_how)])
@@ -213,14 +212,13 @@ add("fd_check", "ds:s groups:l broken:l share:6", lambda spark, d: sc.fd_check(f
 
 # The clustered validator ------------------------------------------------------------------------
 
-_FEW = "feature IN ('amount', 'amount_log', 'amount_cap', 'over_5', 'over_20', 'amt_purchase', 'is_purchase', 'prop_k', 'hour')"
 for _stat in ro.SIX:
-    add(f"cov_pairs_{_stat}", "stat f1 f2 cov:4", lambda spark, d, q=_stat: cl.stat_covariance(low(spark, d).filter(_FEW), (q,), kind="covariance"), [*S_LOW, f"t AS (SELECT ds, feature, CAST({_stat} AS DOUBLE) AS x FROM s WHERE {_FEW} AND {_stat} IS NOT NULL)", f"r AS (SELECT '{_stat}' AS stat, a.feature AS f1, b.feature AS f2, covar_samp(a.x, b.x) AS cov FROM t a JOIN t b ON a.ds = b.ds AND a.feature <= b.feature GROUP BY a.feature, b.feature)"])
-_CORR = [*S_LOW, f"few AS (SELECT * FROM s WHERE {_FEW})", o.stat_rows(o.SIX, "t", "few"), "v AS (SELECT a.stat, a.feature AS f1, b.feature AS f2, covar_samp(a.x, b.x) AS cv, stddev_samp(a.x) AS sa, stddev_samp(b.x) AS sb, avg(a.x) AS ma, avg(b.x) AS mb FROM t a JOIN t b ON a.ds = b.ds AND a.stat = b.stat AND a.feature <= b.feature GROUP BY 1, 2, 3)", "corr AS (SELECT stat, f1, f2, CASE WHEN sa IS NULL OR sb IS NULL OR sa <= 1e-9 * greatest(1, abs(ma)) OR sb <= 1e-9 * greatest(1, abs(mb)) THEN 0 ELSE cv / (sa * sb) END AS cov FROM v)"]
-add("corr_pairs", "stat f1 f2 cov:5", lambda spark, d: cl.stat_covariance(low(spark, d).filter(_FEW)), _CORR, "corr")
-add("edge_weights", "src dst weight:5", lambda spark, d: cl.feature_graph(cl.stat_covariance(low(spark, d).filter(_FEW))), [*_CORR, "r AS (SELECT f1 AS src, f2 AS dst, sum(abs(cov)) AS weight FROM corr WHERE f1 < f2 GROUP BY 1, 2)"])
-add("components_groups", "feature cluster:l", lambda spark, d: spark.createDataFrame(sorted(cl.groups_from_components(cl.feature_graph(cl.stat_covariance(low(spark, d).filter(_FEW))), sorted(r[0] for r in low(spark, d).filter(_FEW).select("feature").distinct().collect()), 3.0).items()), "feature string, cluster long"),
-    [*_CORR, "edge AS (SELECT f1 AS a, f2 AS b FROM corr WHERE f1 < f2 GROUP BY 1, 2 HAVING sum(abs(cov)) >= 3.0)", "ways AS (SELECT a, b FROM edge UNION ALL SELECT b, a FROM edge)", f"walk(feature, low) AS (SELECT feature, feature FROM (SELECT DISTINCT feature FROM s WHERE {_FEW}) UNION SELECT ways.b, walk.low FROM walk JOIN ways ON ways.a = walk.feature)", "least_of AS (SELECT feature, min(low) AS low FROM walk GROUP BY feature)", "r AS (SELECT feature, dense_rank() OVER (ORDER BY low) - 1 AS cluster FROM least_of)"])
+    add(f"cov_pairs_{_stat}", "stat f1 f2 cov:4", lambda spark, d, q=_stat: cl.stat_covariance(low(spark, d), (q,), kind="covariance"), [*S_LOW, f"t AS (SELECT ds, feature, CAST({_stat} AS DOUBLE) AS x FROM s WHERE {_stat} IS NOT NULL)", f"r AS (SELECT '{_stat}' AS stat, a.feature AS f1, b.feature AS f2, covar_samp(a.x, b.x) AS cov FROM t a JOIN t b ON a.ds = b.ds AND a.feature <= b.feature GROUP BY a.feature, b.feature)"])
+_CORR = [*S_LOW, o.stat_rows(o.SIX, "t", "s"), "v AS (SELECT a.stat, a.feature AS f1, b.feature AS f2, covar_samp(a.x, b.x) AS cv, stddev_samp(a.x) AS sa, stddev_samp(b.x) AS sb, avg(a.x) AS ma, avg(b.x) AS mb FROM t a JOIN t b ON a.ds = b.ds AND a.stat = b.stat AND a.feature <= b.feature GROUP BY 1, 2, 3)", "corr AS (SELECT stat, f1, f2, CASE WHEN sa IS NULL OR sb IS NULL OR sa <= 1e-9 * greatest(1, abs(ma)) OR sb <= 1e-9 * greatest(1, abs(mb)) THEN 0 ELSE cv / (sa * sb) END AS cov FROM v)"]
+add("corr_pairs", "stat f1 f2 cov:5", lambda spark, d: cl.stat_covariance(low(spark, d)), _CORR, "corr")
+add("edge_weights", "src dst weight:5", lambda spark, d: cl.feature_graph(cl.stat_covariance(low(spark, d))), [*_CORR, "r AS (SELECT f1 AS src, f2 AS dst, sum(abs(cov)) AS weight FROM corr WHERE f1 < f2 GROUP BY 1, 2)"])
+add("components_groups", "feature cluster:l", lambda spark, d: spark.createDataFrame(sorted(cl.groups_from_components(cl.feature_graph(cl.stat_covariance(low(spark, d))), sorted(r[0] for r in low(spark, d).select("feature").distinct().collect()), 3.0).items()), "feature string, cluster long"),
+    [*_CORR, "edge AS (SELECT f1 AS a, f2 AS b FROM corr WHERE f1 < f2 GROUP BY 1, 2 HAVING sum(abs(cov)) >= 3.0)", "ways AS (SELECT a, b FROM edge UNION ALL SELECT b, a FROM edge)", f"walk(feature, low) AS (SELECT feature, feature FROM (SELECT DISTINCT feature FROM s) UNION SELECT ways.b, walk.low FROM walk JOIN ways ON ways.a = walk.feature)", "least_of AS (SELECT feature, min(low) AS low FROM walk GROUP BY feature)", "r AS (SELECT feature, dense_rank() OVER (ORDER BY low) - 1 AS cluster FROM least_of)"])
 add("six_z", "ds:s feature stat absz:4", lambda spark, d: ro.six_z(low(spark, d)), [*S_LOW, *o.six()], "z")
 
 

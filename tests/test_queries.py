@@ -35,3 +35,12 @@ def test_matches_sql(spark, sf, duck, name):
 @pytest.mark.parametrize("name", sorted(set(catalog.QUERIES) - set(catalog.SQL) - {"case_study_low_all", "case_study_high_all", "quality_model"}))
 def test_runs(spark, sf, name):
     assert catalog.QUERIES[name](spark, sf).count() > 0
+
+
+@pytest.mark.parametrize("name", ["cov_pairs_completeness", "corr_pairs", "edge_weights", "components_groups", "dist_ks_probability", "pvalue_md5_ks", "roll_dynamic_bounds", "stream_stateful_z"])
+def test_covers_every_feature(spark, sf, name):
+    want = {r[0] for r in catalog.low(spark, sf).select("feature").distinct().collect()}
+    if name.startswith(("dist", "pvalue")):
+        want = {r[0] for r in catalog.QUERIES["dist_ks"](spark, sf).select("feature").distinct().collect()}
+    got = catalog.QUERIES[name](spark, sf)
+    assert {r[0] for c in {"f1", "f2", "src", "dst", "feature"} & set(got.columns) for r in got.select(c).distinct().collect()} == want
