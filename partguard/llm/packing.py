@@ -6,7 +6,6 @@ import bisect
 import zlib
 from collections.abc import Iterator
 
-import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
@@ -90,12 +89,15 @@ def pack(docs: DataFrame, tokenizer: str, blank_leads: bool = False, end_id: int
     source = docs.select(F.col(id_column).cast("long").alias("doc_id"), text_of(text_column).alias("text"))
 
     def online(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coder, end = bpe.encoder(tokenizer, blank_leads), np.array([end_id], "<u4").tobytes()
+        coder = bpe.encoder(tokenizer, blank_leads)
         part = TaskContext.get().partitionId()
         packer = Packer(part << 32, part, size, windows, top_up, keep_ids)
         for batch in slices(batches):
-            for doc_id, ids in zip(batch.column("doc_id").to_pylist(), coder.encode_many(batch.column("text").to_pylist())):
-                packer.add(doc_id, 0, ids + end, len(ids) // 4 + 1)
+            ids, sizes = coder.encode_flat(batch.column("text"), end_id)
+            raw, at = ids.tobytes(), 0
+            for doc_id, n in zip(batch.column("doc_id").to_pylist(), sizes.tolist()):
+                packer.add(doc_id, 0, raw[4 * at : 4 * (at + n)], n)
+                at += n
             yield packer.rows()
         packer.leave()
         yield packer.rows()

@@ -99,6 +99,8 @@ def segments(file: bytes | memoryview) -> Iterator[tuple[int, int, int, list[int
     """(shard, place, ids before, document ids, counts, stream) of each segment of a file."""
     view, at = memoryview(file), 0
     while at < len(view):
+        if len(view) - at < _HEAD.size:
+            raise ValueError("damaged file of token ids")
         magic, size, shard, place, before, n = _HEAD.unpack_from(view, at)
         if magic != b"PFS1" or at + size > len(view):
             raise ValueError("damaged file of token ids")

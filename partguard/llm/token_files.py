@@ -17,46 +17,56 @@ from .common import load, shared_path, slices, small_batches, stored, text_of
 READ = "doc_id long, n_tokens long, ids_crc32 long, shard int, place int, nth int, within long"
 
 
-def write_token_files(docs: DataFrame, path: str, tokenizer: str, blank_leads: bool = True, end_id: int = 2, id_column: str = "doc_id", text_column: str = "text", block: int = 256, percentile: float = 0.9, segment_ids: int = 1 << 18) -> None:
+def write_token_files(docs: DataFrame, path: str, tokenizer: str, blank_leads: bool = True, end_id: int = 2, id_column: str = "doc_id", text_column: str = "text", block: int = 256, percentile: float = 0.9, segment_ids: int = 1 << 18, file_segments: int = 64) -> None:
     """Encode each whole text, append ``end_id`` and write files of ascending document id to ``path``.
 
-    The range partitioning on the id gives each task a run of neighbouring documents; its file is
-    one shard. Spark's text writer commits the files, so any store that Spark reaches will do and
-    a task may run again. Null and empty texts hold the end id alone; null ids come first; rows
-    with one id stay next to each other in order of their text; a segment closes after
-    ``segment_ids`` ids, and a longer text has a segment of its own. Other columns are ignored.
+    The range partitioning on the id gives each task a run of neighbouring documents, one shard, in
+    files of ``file_segments`` segments: some 40 MB, however large a shard is. What moves is text,
+    which compresses better than its ids. Spark's text writer commits the files, so any store that
+    Spark reaches will do and a task may run again. Null and empty texts hold the end id alone; null
+    ids come first; rows with one id stay next to each other in order of their text; a segment
+    closes after ``segment_ids`` ids, and a longer text has a segment of its own. Other columns are ignored.
     """
     small_batches(docs.sparkSession)
     ordered = docs.select(F.col(id_column).cast("long").alias("doc_id"), text_of(text_column).alias("text")).repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coder, end = bpe.encoder(tokenizer, blank_leads), np.array([end_id], "<u4").tobytes()
+        coder = bpe.encoder(tokenizer, blank_leads)
         shard, place, before = TaskContext.get().partitionId(), 0, 0
-        ids, parts, held = [], [], 0
+        doc_ids, counts, parts, held = [], [], [], 0
 
         def close() -> pa.RecordBatch:
-            nonlocal ids, parts, held, place, before
-            counts = [len(x) // 4 for x in parts]
-            out = pfor.segment(shard, place, before, ids, counts, np.frombuffer(b"".join(parts), "<u4"), block=block, percentile=percentile)
-            place, before = place + 1, before + sum(counts)
-            ids, parts, held = [], [], 0
+            nonlocal doc_ids, counts, parts, held, place, before
+            out = pfor.segment(shard, place, before, doc_ids, counts, np.concatenate(parts), block=block, percentile=percentile)
+            place, before = place + 1, before + held
+            doc_ids, counts, parts, held = [], [], [], 0
             return pa.RecordBatch.from_arrays([pa.array([out], pa.binary())], ["segment"])
 
         for batch in slices(batches):
-            for doc_id, got in zip(batch.column("doc_id").to_pylist(), coder.encode_many(batch.column("text").to_pylist())):
-                ids.append(doc_id)
-                parts.append(got + end)
-                held += len(got) // 4 + 1
+            ids, sizes = coder.encode_flat(batch.column("text"), end_id)
+            begin = end = 0
+            for doc_id, n in zip(batch.column("doc_id").to_pylist(), sizes.tolist()):
+                doc_ids.append(doc_id)
+                counts.append(n)
+                end += n
+                held += n
                 if held >= segment_ids:
+                    parts.append(ids[begin:end])
+                    begin = end
                     yield close()
-        if ids:
+            if end > begin:
+                parts.append(ids[begin:end])
+        if doc_ids:
             yield close()
 
-    ordered.mapInArrow(encode, "segment binary").select(F.col("segment").cast("string")).write.option("compression", "none").text(path)
+    ordered.mapInArrow(encode, "segment binary").select(F.col("segment").cast("string")).write.options(compression="none", maxRecordsPerFile=file_segments).text(path)
 
 
 def read_token_files(spark: SparkSession, path: str, with_ids: bool = False) -> DataFrame:
-    """One row per document of the files: its ids' number and CRC-32, its shard and its place there; with their ids on demand."""
+    """One row per document of the files: its ids' number and CRC-32, its shard and its place there; with their ids on demand.
+
+    An empty file gives no row, a truncated or otherwise damaged one an error.
+    """
 
     def decode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

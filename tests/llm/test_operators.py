@@ -1,5 +1,7 @@
 """The training-data operators against brute force, and on odd input: nulls, empty and long texts, repeats, empty tables, clashing columns."""
 
+import base64
+import gzip
 import hashlib
 import itertools
 import random
@@ -58,16 +60,35 @@ def test_matches_sql(spark, sf, name):
 
 # 1 and 8: tokens ------------------------------------------------------------------------------------
 
+def fresh(path):
+    """The library's own tokenizer, as the file has it."""
+    from tokenizers import Tokenizer
+
+    return Tokenizer.from_file(path)
+
+
+SPECIAL = ["a <|endoftext|> b", "<|endoftext|>", "x<|endoftext|><|endoftext|>\n y", "<|startoftext|>a", "A <|ENDOFTEXT|> B", "a <| b |> c"]
+
+
 @pytest.mark.parametrize("name,leads", [("byte_bpe_50k.json", True), ("word_bpe_49k.json", False)])
 def test_pieces_of_a_text_give_the_ids_of_the_whole(docs, name, leads):
     coder = bpe.PieceEncoder(bpe.public_file(name), leads, limit=50)
-    texts = [r["text"] for r in docs.select("text").limit(60).collect()] + [t or "" for _, t, _ in ODD] + ["a  b", " lead", "trail ", "x\n y", "  nb", "a ́b", "10 0 00", "don't 's", "word*** word!!! word"]
+    texts = [r["text"] for r in docs.select("text").limit(60).collect()] + [t or "" for _, t, _ in ODD] + ["a  b", " lead", "trail ", "x\n y", "  nb", "a ́b", "10 0 00", "don't 's", "word*** word!!! word", *SPECIAL]
+    rng, parts = random.Random(3), [" ", " ", " ", "  ", "\n", "\t", "\u3000", "\u200b", "\xa0", "é", "cat", "Dog's", "0", "42", "...", "_", "'", "ß", "日本", "\u0301", "<|endoftext|>", "\x1c", "\x85", "İ", "\u0958", "Ω", "ǅ"]
+    texts += ["".join(rng.choices(parts, k=rng.randrange(12))) for _ in range(2000)]
+    library = fresh(bpe.public_file(name))
     for _ in range(2):  # the second time some pieces are kept, others not
         for text, ids in zip(texts, coder.encode_many(texts)):
-            assert np.frombuffer(ids, "<u4").tolist() == coder.tokenizer.encode(text, add_special_tokens=False).ids
+            assert np.frombuffer(ids, "<u4").tolist() == library.encode(text, add_special_tokens=False).ids, repr(text)
     assert len(coder.known) <= 50
 
 
+def test_special_tokens_as_text():
+    coder = bpe.PieceEncoder(bpe.public_file("byte_bpe_50k.json"), True, special_as_text=True)
+    (ids,) = coder.encode_many(["a <|endoftext|> b"])
+    assert 50256 not in np.frombuffer(ids, "<u4") and fresh(bpe.public_file("byte_bpe_50k.json")).decode(np.frombuffer(ids, "<u4").tolist()) == "a <|endoftext|> b"
+
+
 @pytest.mark.parametrize("n", [0, 1, 255, 256, 257, 5000])
 def test_blocks_round_trip(n):
     rng = np.random.default_rng(n)
@@ -90,14 +111,25 @@ def test_token_files(spark, odd, empty, tmp_path):
     path = bpe.public_file("byte_bpe_50k.json")
     token_files.write_token_files(odd, str(tmp_path / "a"), path)
     got = token_files.with_starts(token_files.read_token_files(spark, str(tmp_path / "a"), with_ids=True)).orderBy("start").collect()
-    coder = bpe.PieceEncoder(path, True)
+    library = fresh(path)
     want = sorted(((-1 if i is None else i), t or "") for i, t, _ in ODD)
     start = 0
     for row, (i, text) in zip(got, want, strict=True):
-        ids = coder.tokenizer.encode(text, add_special_tokens=False).ids + [2]
+        ids = library.encode(text, add_special_tokens=False).ids + [2]
         assert (row["doc_id"] if row["doc_id"] is not None else -1, row["start"], row["ids"]) == (i, start, ids)
         assert row["ids_crc32"] == zlib.crc32(np.array(ids, "<u4").tobytes())
         start += len(ids)
+    token_files.write_token_files(odd, str(tmp_path / "c"), path, segment_ids=5, file_segments=2)
+    again = token_files.with_starts(token_files.read_token_files(spark, str(tmp_path / "c"), with_ids=True)).orderBy("start").collect()
+    assert [(r["doc_id"], r["start"], r["ids"]) for r in again] == [(r["doc_id"], r["start"], r["ids"]) for r in got]
+    assert len(list((tmp_path / "c").glob("part-*"))) > len(list((tmp_path / "a").glob("part-*")))
+    whole = max((tmp_path / "c").glob("part-*"), key=lambda x: x.stat().st_size).read_bytes()
+    (tmp_path / "d").mkdir()
+    (tmp_path / "d" / "empty").write_bytes(b"")
+    assert token_files.read_token_files(spark, str(tmp_path / "d")).count() == 0
+    for cut in (10, len(whole) - 9):
+        with pytest.raises(ValueError):
+            list(pfor.segments(whole[:cut]))
     token_files.write_token_files(empty, str(tmp_path / "b"), path)
     assert token_files.read_token_files(spark, str(tmp_path / "b")).count() == 0
 
@@ -125,12 +157,12 @@ def check_packed(rows, want, size=4096):
 
 def test_packing(spark, sf, docs, odd, empty):
     path = bpe.public_file("word_bpe_49k.json")
-    coder = bpe.PieceEncoder(path, False)
-    want = {r["doc_id"]: coder.tokenizer.encode(r["text"], add_special_tokens=False).ids + [2] for r in docs.collect()}
+    library = fresh(path)
+    want = {r["doc_id"]: library.encode(r["text"], add_special_tokens=False).ids + [2] for r in docs.collect()}
     fills = check_packed(packing.pack(docs.repartition(3), path).collect(), want)
     assert len(fills) * 4096 < 1.03 * sum(fills) + 4096
     distinct = odd.filter("doc_id is not null").dropDuplicates(["doc_id"])
-    check_packed(packing.pack(distinct, path, size=64, windows=2, top_up=4).collect(), {i: coder.tokenizer.encode(t or "", add_special_tokens=False).ids + [2] for i, t, _ in ODD if i is not None}, 64)
+    check_packed(packing.pack(distinct, path, size=64, windows=2, top_up=4).collect(), {i: library.encode(t or "", add_special_tokens=False).ids + [2] for i, t, _ in ODD if i is not None}, 64)
     assert packing.pack(odd, path).groupBy("doc_id").count().count() == len({i for i, _, _ in ODD})
     assert packing.pack(empty, path).count() == 0
 
@@ -376,28 +408,77 @@ def test_licence_files_and_wrapped_headers(spark):
     assert got["code/a.c"]["n_matched"] == 3 and got["both/NOTICE"]["n_matched"] == 2 and got["own/COPYING.txt"]["permissive"]
 
 
-def test_archives(spark, tmp_path):
-    tricky = "x\r\n\r\nWARC/1.1\r\nContent-Length: 5\r\n\r\ny"
-    pages = spark.createDataFrame([(3, "http://a.b/c d#e", "<p>é</p>", 1), (1, "https://h", "<p>é</p>", 1), (2, None, None, 1), (4, "u", "", 1), (5, "http://z/?q=1", tricky, 1), (None, "n", "<p>é</p>", 1), (6, "r", "same", 1), (6, "r", "same", 1)], "page_id long, url string, html string, digest int")
-    warc.write_warc(warc.transactions(pages), str(tmp_path / "w"))
-    records = warc.read_records(spark, str(tmp_path / "w"), with_payload=True)
+TRICKY = "x\r\n\r\nWARC/1.1\r\nContent-Length: 5\r\n\r\ny"
+
+
+@pytest.fixture(scope="module")
+def few_pages(spark):
+    rows = [(3, "http://a.b/c d#e", "<p>é</p>", 1), (1, "https://h", "<p>é</p>", 1), (2, None, None, 1), (4, "u", "", 1), (5, "http://z/?q=1", TRICKY, 1), (None, "n", "<p>é</p>", 1), (6, "r", "same", 1), (6, "r", "same", 1), (7, "s", "same", 1)]
+    return spark.createDataFrame(rows, "page_id long, url string, html string, digest int")
+
+
+@pytest.mark.parametrize("level", [6, None])
+def test_archives(spark, few_pages, tmp_path, level):
+    warc.write_warc(warc.transactions(few_pages), str(tmp_path / "w"), level=level)
+    records = warc.read_records(spark, str(tmp_path / "w"), with_payload=True, batch_rows=2)
+    every = records.collect()
     got = warc.with_referred(warc.assemble(records)).collect()
-    assert len(got) == 8 and all(r["request"] is not None for r in got)
+    assert len(got) == 9 and all(r["request"] is not None for r in got) and len({r["record_id"] for r in every}) == len(every) == 27
     by_id = {r["page_id"]: r for r in got}
     assert by_id[3]["type"] == "revisit" and by_id[3]["referred_page"] == 1 and by_id[4]["type"] == "revisit" and by_id[4]["referred_page"] == 2
-    assert bytes(by_id[5]["payload"]).decode() == tricky and by_id[5]["payload_bytes"] == len(tricky)
-    import base64
-
-    assert by_id[3]["digest"] == "sha1:" + base64.b32encode(hashlib.sha1("<p>é</p>".encode()).digest()).decode()
+    assert bytes(by_id[5]["payload"]).decode() == TRICKY and by_id[5]["payload_bytes"] == len(TRICKY)
+    assert by_id[3]["digest"] == "sha1:" + base64.b32encode(hashlib.sha1("<p>é</p>".encode()).digest()).decode() and by_id[3]["payload_bytes"] == len("<p>é</p>".encode())
     assert by_id[None]["type"] == "revisit" and by_id[None]["referred_page"] == 1
-    assert [r["type"] for r in got if r["page_id"] == 6] == ["response", "response"]
-    warc.write_warc(warc.transactions(pages, min_bytes=5), str(tmp_path / "m"), compression="none")
+    assert [r["type"] for r in got if r["page_id"] == 6] == ["response", "response"] and by_id[7]["referred_page"] == 6
+    assert by_id[3]["request"]["line"] == "GET /cd HTTP/1.1" and by_id[1]["request"]["line"] == "GET / HTTP/1.1"
+    answers = {r["record_id"]: r for r in every if r["type"] == "response"}
+    assert all(bytes(answers[r["refers_to"]]["payload"]) == {1: "<p>é</p>", 2: "", 6: "same"}[r["referred_page"]].encode() for r in got if r["type"] == "revisit")
+    warc.write_warc(warc.transactions(few_pages, min_bytes=5), str(tmp_path / "m"), level=level)
     small = {r["page_id"]: r["type"] for r in warc.assemble(warc.read_records(spark, str(tmp_path / "m"))).collect()}
     assert small[4] == "response" and small[3] == "revisit"
-    warc.write_warc(warc.transactions(pages.filter("1 = 0")), str(tmp_path / "e"))
+    warc.write_warc(warc.transactions(few_pages.filter("1 = 0")), str(tmp_path / "e"), level=level)
     assert warc.read_records(spark, str(tmp_path / "e")).count() == 0
 
 
+def test_archives_have_a_member_for_each_record_and_bounded_files(spark, sf, tmp_path):
+    pages = spark.read.parquet(f"{sf}/pages.parquet").limit(200)
+    warc.write_warc(warc.transactions(pages.coalesce(1)).coalesce(1), str(tmp_path / "w"), chunk_bytes=4000, file_chunks=3)
+    files = sorted((tmp_path / "w").glob("part-*"))
+    sizes, longest, n = [], 0, 0
+    for file in files:
+        raw = file.read_bytes()
+        sizes.append(len(raw))
+        while raw:
+            member = zlib.decompressobj(31)
+            text = member.decompress(raw)
+            assert member.eof and len(list(warc.records_in([text]))) == 1
+            longest, n, raw = max(longest, len(raw) - len(member.unused_data)), n + 1, member.unused_data
+    assert n == 600 and len(files) > 5 and max(sizes) <= 3 * (4000 + longest + 2000)
+
+
+def test_archives_of_others(spark, tmp_path):
+    one = b"WARC/1.0\r\nwarc-type: response\r\nWARC-Record-ID: <a>\r\nContent-Length: 22\r\n\r\nHTTP/1.1 200 OK\r\n\r\nabc\r\n\r\n"
+    two = b"WARC/1.0\r\nWARC-Type: warcinfo\r\nWARC-Record-ID: <b>\r\nX-Empty:\r\nContent-Length: 0\r\n\r\n\r\n\r\n"
+    long = b"WARC/1.0\r\nWARC-Type: resource\r\nWARC-Record-ID: <c>\r\nContent-Length: 17000000\r\n\r\n" + b"0123456789abcdefg" * 1_000_000 + b"\r\n\r\n"
+    (tmp_path / "w").mkdir()
+    (tmp_path / "w" / "stream.warc.gz").write_bytes(gzip.compress(one + two + long + one))
+    (tmp_path / "w" / "plain.warc").write_bytes(one + b"\r\n" + two)
+    (tmp_path / "w" / "none.warc").write_bytes(b"")
+    got = warc.read_records(spark, str(tmp_path / "w"), with_payload=True).collect()
+    assert sorted(r["record_id"] for r in got) == ["<a>", "<a>", "<a>", "<b>", "<b>", "<c>"]
+    assert {(r["payload_bytes"], bytes(r["payload"])) for r in got if r["type"] == "response"} == {(3, b"abc")}
+    for cut in (gzip.compress(one)[:-3], one[:-9]):
+        with pytest.raises(ValueError):
+            list(warc.records_in(warc._inflated(memoryview(cut))))
+
+
+def test_long_records_end_as_the_separator_needs(spark, tmp_path):
+    pages = spark.createDataFrame([(1, "u", "0123456789abcdef" * 1_100_000), (2, "v", "x")], "page_id long, url string, html string").coalesce(1)
+    warc.write_warc(warc.transactions(pages), str(tmp_path / "w"))
+    got = warc.read_records(spark, str(tmp_path / "w")).filter("type = 'response'").select("payload_bytes").collect()
+    assert sorted(r[0] for r in got) == [1, 17_600_000]
+
+
 def test_pipeline(spark, sf, docs):
     import corpus_pipeline
 
