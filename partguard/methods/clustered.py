@@ -4,8 +4,10 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 from ..operators.rolling import six_z
+from .cluster import fit_groups
 
 STAT_ORDER = {"completeness": 0, "mean": 1, "stddev": 2, "n_distinct": 3, "top_freq": 4, "w1_prev": 5}
 
@@ -27,9 +29,11 @@ def matrix(means: DataFrame) -> DataFrame:
 
 def row_distances(means: DataFrame, nth: DataFrame, p: int = 1, k: int = 7, horizon: int | None = None) -> DataFrame:
     """(ds, t, other, u, d) of every row after the first k with the earlier ones: T rows of 6v numbers meet by (cluster, stat)."""
+    keys = [c for c in ("version", "cluster", "stat") if c in means.columns]
     rows = means.join(F.broadcast(nth), "ds").filter(F.col("t") > k)
-    other = rows.select(F.col("ds").alias("other"), F.col("t").alias("u"), "cluster", "stat", F.col("value").alias("y"))
-    near = rows.join(other, ["cluster", "stat"]).filter("u < t" if horizon is None else f"u < t AND u >= t - {horizon}")
+    other = rows.select(F.col("ds").alias("other"), F.col("t").alias("u"), *keys, F.col("value").alias("y"))
+    scored = rows.filter("scored") if "scored" in means.columns else rows
+    near = scored.join(other, keys).filter("u < t" if horizon is None else f"u < t AND u >= t - {horizon}")
     gap = F.abs(F.col("value") - F.col("y"))
     return near.groupBy("ds", "t", "other", "u").agg((F.sum(gap) if p == 1 else F.sqrt(F.sum(gap * gap))).alias("d"))
 
@@ -56,6 +60,34 @@ def clustered_score(summary: DataFrame, groups: DataFrame, k: int = 7, **how) ->
     return neighbor_score(cluster_means(six_z(summary, k), groups), ordinal(summary), k=k, **how)
 
 
+def scheduled_groups(summary: DataFrame, method: str = "spectral", every: int = 7, k: int = 7, **fit) -> DataFrame:
+    """(feature, cluster, version, since, before): assignments fitted anew for every ``every`` partitions, each on the partitions before those it is for.
+
+    The first is for the first partition that can be scored, the k+2nd; the last has no ``before``. The list of
+    partitions and a fit's assignment, a row per feature, pass through the driver; features that come up after a fit wait for the next one.
+    """
+    days = sorted(r["ds"] for r in summary.select("ds").distinct().collect())
+    rows = []
+    for i in range(k + 1, len(days), every):
+        groups, _ = fit_groups(summary, method, until=days[i - 1], **fit)
+        rows += [(f, int(c), f"until {days[i - 1]}", days[i], days[i + every] if i + every < len(days) else None) for f, c in sorted(groups.items())]
+    ds = summary.schema["ds"].dataType
+    return summary.sparkSession.createDataFrame(rows, StructType().add("feature", "string").add("cluster", "integer").add("version", "string").add("since", ds).add("before", ds))
+
+
+def scheduled_means(z: DataFrame, fits: DataFrame) -> DataFrame:
+    """Like ``cluster_means`` under every version, up to the last partition it is for; ``scored`` marks those it is for, the earlier ones are what they are compared with."""
+    cells = z.join(fits, "feature").filter("before IS NULL OR ds < before")
+    return cells.groupBy("version", "ds", "cluster", "stat", (F.col("ds") >= F.col("since")).alias("scored")).agg(F.coalesce(F.avg("absz"), F.lit(0.0)).alias("value"))
+
+
+def refitted_score(summary: DataFrame, fits: DataFrame, k: int = 7, **how) -> DataFrame:
+    """(ds, score, version): each partition under the groups fitted on partitions before it; all rows that it is compared with are in the same version."""
+    scores = neighbor_score(scheduled_means(six_z(summary, k), fits), ordinal(summary), k=k, **how)
+    blocks = fits.select("version", "since", "before").distinct()
+    return scores.join(F.broadcast(blocks), F.expr("ds >= since AND (before IS NULL OR ds < before)"), "left").select("ds", "score", "version")
+
+
 def threshold_from_z(zmax: float, v: int, stats: int = 1) -> float:
     """A score threshold that can be read: the largest deviation one lets pass, times the number of clusters (and of statistics, if asked)."""
     return zmax * v * stats

@@ -287,7 +287,7 @@ def _fitted(spark: SparkSession, d: str, data: fe.Dataset = LOW, method: str = "
 
 for _method in ("spectral", "pic", "kmeans"):
     add(f"{_method}_groups", "feature cluster:l", lambda spark, d, m=_method: _fitted(spark, d, method=m)[0])
-add("clustered_spectral", "ds:s score:4", lambda spark, d: cd.clustered_score(low(spark, d), _fitted(spark, d)[0], labels=lb.plan_labels(spark, ft.LOW, 1)))
+add("clustered_spectral", "ds:s score:4 version", lambda spark, d: cd.refitted_score(low(spark, d), cd.scheduled_groups(low(spark, d)), labels=lb.plan_labels(spark, ft.LOW, 1)))
 add("cluster_counts", "stat components:l", lambda spark, d: spark.createDataFrame(sorted(cl.choose_clusters(cl.stat_matrices(low(spark, d))[1])[1].items()), "stat string, components long"))
 
 # Alerts -----------------------------------------------------------------------------------------
@@ -343,8 +343,8 @@ add("average_precision", "ap:6", lambda spark, d: ev.measures(_scored(spark, d))
 CASE_METHODS = ("completeness_drop", "zscore_completeness", "distance_w1", "knn_baseline", "clustered_given", "always_block")
 
 
-def case_scores(spark: SparkSession, d: str, data: fe.Dataset, plan: ft.FaultPlan, level: int, groups: DataFrame | None = None, more: bool = False) -> dict[str, DataFrame]:
-    """Scores of every method on a faulted table; with ``more`` also those that SQL elsewhere can't repeat."""
+def case_scores(spark: SparkSession, d: str, data: fe.Dataset, plan: ft.FaultPlan, level: int, fits: DataFrame | None = None, more: bool = False) -> dict[str, DataFrame]:
+    """Scores of every method on a faulted table; with ``more`` also those that SQL elsewhere can't repeat, some under the groups of a schedule of ``fits``."""
     s = summary_of(spark, d, data)
     y = lb.plan_labels(spark, plan, level)
     out = {
@@ -353,16 +353,16 @@ def case_scores(spark: SparkSession, d: str, data: fe.Dataset, plan: ft.FaultPla
     }
     if more:
         out |= {f"two_sample_{k}": sc.two_sample_score(sc.resample(sc.distances(s, k), k)) for k in ("ks", "w1", "dts")}
-        out |= {"clustered_spectral": cd.clustered_score(s, groups, labels=y), "clustered_p2": cd.clustered_score(s, groups, labels=y, p=2), "no_clusters": cd.clustered_score(s, _groups(spark, data, "identity"), labels=y), "pca": sc.pca_score(s)}
+        out |= {"clustered_spectral": cd.refitted_score(s, fits, labels=y), "clustered_p2": cd.refitted_score(s, fits, labels=y, p=2), "no_clusters": cd.clustered_score(s, _groups(spark, data, "identity"), labels=y), "pca": sc.pca_score(s)}
     return out
 
 
 def case_study(spark: SparkSession, d: str, data: fe.Dataset, plan: ft.FaultPlan, more: bool = False) -> DataFrame:
     """(dataset, method, level, precision_at, ap, n_scored, n_pos) over the partitions that the clustered validator can score too."""
-    parts, groups = [], _fitted(spark, d, data)[0] if more else None
+    parts, fits = [], cd.scheduled_groups(summary_of(spark, d, data)) if more else None
     for level in (1, 2, 3):
         y = lb.plan_labels(spark, plan, level).filter("ds >= '2024-01-09'").select("ds", "level", "y")
-        for method, scores in case_scores(spark, d, data, plan, level, groups, more).items():
+        for method, scores in case_scores(spark, d, data, plan, level, fits, more).items():
             parts.append(scores.join(F.broadcast(y), "ds").select(F.lit(plan.name).alias("dataset"), F.lit(method).alias("method"), "level", F.round("score", 7).alias("score"), "y"))
     rows = parts[0]
     for p in parts[1:]:

@@ -7,10 +7,16 @@ from pyspark.sql import functions as F
 
 from ..functions import udfs
 from ..functions.stats import DISTANCES
-from ..operators.store import history, update, upsert
-from ..sources.features import EVENTS, EVENTS_HIGH
+from ..methods import clustered as cd
+from ..methods import labels as lb
+from ..operators.store import add_states, history, merged_states, summary_of, update, upsert
+from ..operators.summary import merge_sketches, read_sketches, summarize_sketch
+from ..sources import faults as ft
+from ..sources.features import EVENTS, EVENTS_HIGH, Dataset
 from ..sources.tables import load, read_export, scratch, views, write_export
 from ..streaming import stream as st
+from .catalog import _D as CLUSTERED_SQL
+from .catalog import _groups as given_groups
 from .catalog import CLEAN, LOW, add, clean, low
 from . import oracles as o
 
@@ -76,7 +82,7 @@ add("topk_global", "event_id:l value:2", lambda spark, d: load(spark, d, "events
 add("topk_per_group", "event_type event_id:l value:2", lambda spark, d: load(spark, d, "events").withColumn("rn", F.row_number().over(_win())).filter("rn <= 5"), [f"r AS (SELECT * FROM (SELECT *, row_number() OVER ({_W}) AS rn FROM events) WHERE rn <= 5)"])
 add("limit_offset", "event_id:l", lambda spark, d: load(spark, d, "events").select("event_id").orderBy("event_id").offset(10).limit(5), ["r AS (SELECT event_id FROM events ORDER BY event_id LIMIT 5 OFFSET 10)"])
 add("approx_distinct_quantile", "close_distinct close_median", lambda spark, d: load(spark, d, "events").agg((F.abs(F.approx_count_distinct("user_id", 0.02) - F.count_distinct("user_id")) <= 0.1 * F.count_distinct("user_id")).alias("close_distinct"), (F.abs(F.percentile_approx("value", 0.5, 10000) - F.median("value")) <= 1).alias("close_median")), ["r AS (SELECT TRUE AS close_distinct, TRUE AS close_median)"])
-add("sample_deterministic", "n:l", lambda spark, d: load(spark, d, "events").filter(F.crc32(F.col("event_id").cast("string").cast("binary")) % 10 == 3).agg((F.count("*") * 0 + 1).alias("n")), ["r AS (SELECT 1 AS n)"])
+add("sample_deterministic", "event_id:l", lambda spark, d: load(spark, d, "events").filter(F.md5(F.col("event_id").cast("string").cast("binary")).startswith("3")).select("event_id"), ["r AS (SELECT event_id FROM events WHERE md5(CAST(event_id AS VARCHAR)) LIKE '3%')"])
 
 # Sets, shapes ------------------------------------------------------------------------------------------
 
@@ -145,18 +151,19 @@ for _kind in ("csv", "json", "orc", "parquet"):
 add("source_range_values", "id:l name", lambda spark, d: spark.range(5).join(spark.createDataFrame([(0, "a"), (3, "b")], "id long, name string"), "id", "left"), ["r AS (SELECT id, name FROM (SELECT unnest(range(5)) AS id) LEFT JOIN (VALUES (0, 'a'), (3, 'b')) v(id, name) USING (id))"])
 
 
-def _store(spark: SparkSession, d: str) -> DataFrame:
+def _store(spark: SparkSession, d: str, data: Dataset = CLEAN) -> DataFrame:
     """Every partition but the last at once, the last one twice by itself: one copy of each comes back."""
     import datetime
 
     path = scratch(spark, "store")
-    upsert(clean(spark, d).filter("ds < '2024-01-30'").drop("w1_prev"), path, CLEAN.name)
+    upsert(summary_of(spark, d, data).filter("ds < '2024-01-30'").drop("w1_prev"), path, data.name)
     for _ in range(2):
-        update(spark, path, CLEAN, d, datetime.date(2024, 1, 30))
-    return history(spark, path, CLEAN.name)
+        update(spark, path, data, d, datetime.date(2024, 1, 30))
+    return history(spark, path, data.name)
 
 
-add("store_incremental", "ds:s feature n_rows:l n_valid:l completeness:6 mean:4 n_distinct:l", _store, o.summary(CLEAN), "s")
+add("store_incremental", "ds:s feature n_rows:l n_valid:l completeness:6 mean:4 n_distinct:l w1_prev:4", _store, o.summary(CLEAN), "s")
+add("clustered_from_store", "ds:s score:4", lambda spark, d: cd.clustered_score(_store(spark, d, LOW), given_groups(spark, LOW), labels=lb.plan_labels(spark, ft.LOW, 1)), [*CLUSTERED_SQL(), *o.neighbors()])
 
 # Streams, drained, against the batch ---------------------------------------------------------------------------------
 
@@ -164,7 +171,8 @@ _DAYS = ["r AS (SELECT CAST(ts AS DATE) AS day, count(*) AS n_rows, avg(value) A
 add("stream_tumbling_append", "day:s n_rows:l mean:4", lambda spark, d: st.drained(st.daily(st.source(spark, d))).withColumn("day", F.col("window.start").cast("date")), _DAYS)
 add("stream_tumbling_complete", "day:s n_rows:l mean:4", lambda spark, d: st.drained(st.daily(st.source(spark, d)), "complete").withColumn("day", F.col("window.start").cast("date")), [_DAYS[0].replace(" WHERE CAST(ts AS DATE) < (SELECT max(CAST(ts AS DATE)) FROM events)", "")])
 add("stream_sliding", "day:s n_rows:l", lambda spark, d: st.drained(st.sliding(st.source(spark, d)), "complete").withColumn("day", F.col("window.start").cast("date")), ["d AS (SELECT CAST(unnest(generate_series(DATE '2023-12-26', DATE '2024-01-30', INTERVAL 1 DAY)) AS DATE) AS day)", "r AS (SELECT day, count(*) AS n_rows FROM d JOIN events ON ts >= day AND ts < day + INTERVAL 7 DAY GROUP BY day)"])
-add("stream_sessions", "users:l", lambda spark, d: st.drained(st.sessions(st.source(spark, d))).agg(F.count_distinct("user_id").alias("users")))
+add("stream_sessions", "user_id:l start:s n_rows:l", lambda spark, d: st.drained(st.sessions(st.source(spark, d))).select("user_id", F.date_format("session_window.start", "yyyy-MM-dd HH:mm:ss").alias("start"), "n_rows"),
+    ["t AS (SELECT user_id, ts, coalesce(ts > lag(ts) OVER w + INTERVAL 2 HOUR, TRUE)::INT AS opens FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts))", "n AS (SELECT *, sum(opens) OVER (PARTITION BY user_id ORDER BY ts) AS nth FROM t)", "r AS (SELECT user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS start, count(*) AS n_rows FROM n GROUP BY user_id, nth HAVING max(ts) + INTERVAL 2 HOUR <= (SELECT max(ts) FROM events) - INTERVAL 1 DAY)"])
 add("stream_dedup", "n:l", lambda spark, d: st.drained(st.deduplicated(st.source(spark, d))).agg(F.count("*").alias("n")), ["r AS (SELECT count(DISTINCT event_id) AS n FROM events)"])
 add("stream_static_join", "cluster:l n:l", lambda spark, d: st.drained(st.with_groups(st.source(spark, d), spark.createDataFrame([("click", 0), ("view", 0), ("purchase", 1)], "event_type string, cluster long"))).groupBy("cluster").agg(F.count("*").alias("n")), ["r AS (SELECT CASE event_type WHEN 'click' THEN 0 WHEN 'view' THEN 0 WHEN 'purchase' THEN 1 END AS cluster, count(*) AS n FROM events GROUP BY 1)"])
 add("stream_interval_join", "purchase:l click:l", lambda spark, d: st.drained(st.follow_ups(st.source(spark, d), st.source(spark, d))), ["r AS (SELECT a.event_id AS purchase, b.event_id AS click FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts <= a.ts AND b.ts >= a.ts - INTERVAL 1 HOUR WHERE a.event_type = 'purchase' AND b.event_type = 'click')"])
@@ -181,10 +189,20 @@ add("stream_stateful_z", "ds:s feature z:5", _stateful, _CFEW)
 
 
 def _upserted(spark: SparkSession, d: str) -> DataFrame:
+    """Counts by day and kind: every micro-batch adds its own, the sums are made when they are read."""
     path, marks = scratch(spark, "store"), scratch(spark, "stream-state")
-    stream = st.source(spark, d)
-    st.upsert_each(stream, lambda batch: upsert(batch.groupBy(F.col("ts").cast("date").alias("ds"), F.col("event_type").alias("feature")).agg(F.count("*").alias("n_rows")), path, "stream"), marks)
-    return history(spark, path, "stream")
+    counts = lambda batch: batch.groupBy(F.col("ts").cast("date").alias("ds"), F.col("event_type").alias("feature")).agg(F.count("*").alias("n_rows"))
+    st.upsert_each(st.source(spark, d), lambda batch, number: add_states(counts(batch), path, "stream", number), marks)
+    return merged_states(spark, path, "stream", lambda states, ds: states.groupBy(ds.alias("ds"), "feature").agg(F.sum("n_rows").alias("n_rows")))
 
 
-add("stream_foreach_upsert", "ds:s feature n_rows:l", _upserted, ["r AS (SELECT CAST(ts AS DATE) AS ds, event_type AS feature, count(*) AS n_rows FROM events GROUP BY 1, 2)"])
+def _streamed_sketches(spark: SparkSession, d: str) -> DataFrame:
+    """Summaries of a stream: each micro-batch adds its sketches to the store, reading it merges those of a day."""
+    path, marks = scratch(spark, "store"), scratch(spark, "stream-state")
+    sketches = lambda batch: summarize_sketch(CLEAN.rows_of(events=batch), CLEAN.features)
+    st.upsert_each(st.source(spark, d), lambda batch, number: add_states(sketches(batch), path, CLEAN.name, number), marks)
+    return read_sketches(merged_states(spark, path, CLEAN.name, merge_sketches))
+
+
+add("stream_foreach_sketches", "ds:s feature n_rows:l n_valid:l completeness:6 mean:4 stddev:4 min:4 max:4", _streamed_sketches, o.summary(CLEAN), "s")
+add("stream_foreach_upsert", "ds:s feature n_rows:l", _upserted,["r AS (SELECT CAST(ts AS DATE) AS ds, event_type AS feature, count(*) AS n_rows FROM events GROUP BY 1, 2)"])

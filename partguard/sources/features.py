@@ -135,7 +135,11 @@ class Dataset:
 
     def rows(self, spark: SparkSession, sf_dir: str) -> DataFrame:
         """The rows with their partition as ``ds``; each use has names of its own, so sessions keep their views."""
-        frames = {t: load(spark, sf_dir, t) for t in self.tables}
+        return self.rows_of(**{t: load(spark, sf_dir, t) for t in self.tables})
+
+    def rows_of(self, **frames: DataFrame) -> DataFrame:
+        """The same over given tables, such as a stream's micro-batch."""
+        spark = next(iter(frames.values())).sparkSession
         return spark.sql(self.sql.format(**{t: "{" + t + "}" for t in self.tables}), **frames)
 
     def duck_rows(self) -> str:

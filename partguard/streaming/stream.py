@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable, Iterator
 
 import pandas as pd
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -35,6 +36,7 @@ def sessions(stream: DataFrame, gap: str = "2 hours", late: str = "1 day") -> Da
 
 
 def deduplicated(stream: DataFrame, late: str = "1 day") -> DataFrame:
+    """First row of each event id; rows that come more than ``late`` after later ones are dropped, as the kept state is bounded by it."""
     return stream.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
 
 
@@ -72,23 +74,28 @@ def stateful_z(windows: DataFrame, k: int = 7) -> DataFrame:
 
 
 def drained(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Everything the stream gives for what is there now, through foreachBatch into Parquet; read back as a table."""
+    """Everything the stream gives for what is there now, through foreachBatch into Parquet; read back as a table.
+
+    Each batch has a folder of its own, so a batch that is repeated replaces its rows; in complete mode a batch replaces all."""
     spark = stream.sparkSession
     path, marks = scratch(spark, "stream"), scratch(spark, "stream-state")
     schema = stream.schema
+    replaced = "static" if mode == "complete" else "dynamic"
 
     def keep(batch: DataFrame, number: int) -> None:
-        batch.withColumn("batch", F.lit(number)).write.mode("overwrite" if mode == "complete" else "append").parquet(path)
+        batch.withColumn("micro_batch", F.lit(number)).write.mode("overwrite").option("partitionOverwriteMode", replaced).partitionBy("micro_batch").parquet(path)
 
     stream.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", marks).trigger(availableNow=True).start().awaitTermination()
     try:
-        return spark.read.parquet(path).drop("batch")
-    except Exception as e:  # no batch had a row
-        if "PATH_NOT_FOUND" not in str(e):
+        return spark.read.schema(schema).parquet(path).select(*schema.names)
+    except AnalysisException as e:  # there was no batch
+        if e.getCondition() != "PATH_NOT_FOUND":
             raise
         return spark.createDataFrame([], schema)
 
 
-def upsert_each(stream: DataFrame, upsert: Callable[[DataFrame], None], marks: str) -> None:
-    """Run ``upsert`` on every micro-batch until what is there is read; a batch that is repeated replaces its partitions."""
-    stream.writeStream.foreachBatch(lambda batch, _: upsert(batch)).option("checkpointLocation", marks).trigger(availableNow=True).start().awaitTermination()
+def upsert_each(stream: DataFrame, upsert: Callable[[DataFrame, int], None], marks: str) -> None:
+    """Run ``upsert`` on every micro-batch and its number until what is there is read.
+
+    A partition's rows may come in several batches, so what is written must add up by batch, as ``store.add_states`` does."""
+    stream.writeStream.foreachBatch(upsert).option("checkpointLocation", marks).trigger(availableNow=True).start().awaitTermination()

@@ -14,9 +14,10 @@ from partguard.methods import evaluation as ev
 from partguard.methods import labels as lb
 from partguard.methods import scores as sc
 from partguard.operators import rolling as ro
+from partguard.operators import store
 from partguard.operators import summary as sm
 from partguard.operators.store import summary_of
-from partguard.plans import planner
+from partguard.plans import catalog, operator_queries, planner  # noqa: F401
 from partguard.sources import faults as ft
 from partguard.sources import features as fe
 
@@ -166,6 +167,52 @@ def test_no_look_ahead(spark, low):
             assert value is None or value == pytest.approx(whole[ds])
 
 
+def test_fitted_groups_do_not_look_ahead(spark, low):
+    """Whatever partitions from 2024-01-19 on hold, the scores before are the same, with the groups fitted for them."""
+    got = []
+    for factor in (1, 0, 50):
+        changed = low.withColumns({q: F.when(F.col("ds") >= "2024-01-19", F.col(q) * factor * F.length("feature")).otherwise(F.col(q)) for q in ("mean", "stddev")})
+        fits = cd.scheduled_groups(changed)
+        got.append({r["ds"]: (r["score"], r["version"]) for r in cd.refitted_score(changed, fits).filter("ds < '2024-01-19'").collect()})
+    first = got[0]
+    assert sum(score is not None for score, _ in first.values()) == 10 and len({v for _, v in first.values()} - {None}) == 2
+    for other in got[1:]:
+        assert other.keys() == first.keys()
+        for ds, (score, version) in first.items():
+            assert other[ds][1] == version and other[ds][0] == (None if score is None else pytest.approx(score))
+
+
+def test_one_fit_scores_as_given_groups_do(spark, low):
+    """Where the schedule has one version for all scored partitions, its scores are those of that assignment."""
+    fits = cd.scheduled_groups(low, every=100)
+    given = fits.select("feature", "cluster")
+    want = {r["ds"]: r["score"] for r in cd.clustered_score(low, given).collect()}
+    got = {r["ds"]: r["score"] for r in cd.refitted_score(low, fits).collect()}
+    assert got == {ds: None if x is None else pytest.approx(x) for ds, x in want.items()}
+
+
+def test_stream_adds_up_over_batches(spark, sf, tmp_path):
+    """A table of many files is read file by file: days that span batches keep all rows, a repeated batch changes nothing."""
+    spark.read.parquet(f"{sf}/events.parquet").repartition(3).write.parquet(str(tmp_path / "sf" / "events.parquet"))
+    parts = str(tmp_path / "sf")
+    for name in ("stream_foreach_upsert", "stream_foreach_sketches"):
+        whole, split = (sorted(map(str, catalog.QUERIES[name](spark, d).collect())) for d in (sf, parts))
+        assert whole == split, name
+    path = str(tmp_path / "states")
+    rows = spark.sql("SELECT DATE '2024-01-01' AS ds, 'a' AS feature, 2 AS n UNION ALL SELECT DATE '2024-01-02', 'a', 3")
+    for batch in (0, 1, 1):
+        store.add_states(rows, path, "d", batch)
+    summed = store.merged_states(spark, path, "d", lambda states, ds: states.groupBy(ds.alias("ds")).agg(F.sum("n").alias("n")))
+    assert sorted(r["n"] for r in summed.collect()) == [4, 6]
+
+
+def test_summaries_are_kept_by_what_they_are_of(spark, sf, low):
+    a, b = (fe.Dataset("same", ("events",), "SELECT CAST(ts AS DATE) AS ds, value FROM {events}", [fe.Feature("x", "N", e)]) for e in ("value", "value * 2"))
+    one, two = (summary_of(spark, sf, x).agg(F.avg("mean")).first()[0] for x in (a, b))
+    assert two == pytest.approx(2 * one)
+    assert summary_of(spark, sf, fe.events(ft.LOW)).inputFiles() == low.inputFiles()
+
+
 def test_neighbours(spark, low):
     z, nth = ro.six_z(low), cd.ordinal(low)
     y = lb.plan_labels(spark, ft.LOW, 1)
