@@ -230,9 +230,12 @@ def assemble(records: DataFrame) -> DataFrame:
 
 
 def with_referred(captures: DataFrame) -> DataFrame:
-    """Follow each revisit's refers-to, a record id, to the page id of that response: ``referred_page``, null where it is in none of the archives."""
-    first = captures.filter("type = 'response'").groupBy(F.col("record_id").alias("refers_to")).agg(F.min("page_id").alias("referred_page"))
-    return captures.join(first, "refers_to", "left")
+    """Follow each revisit's refers-to, a record id, to the page id of that response: ``referred_page``, null where it is in none of the archives.
+
+    A capture that refers to none is dealt by its own id, or all of them would meet in one task."""
+    first = captures.filter("type = 'response'").groupBy(F.col("record_id").alias("followed")).agg(F.min("page_id").alias("found_page"))
+    found = captures.withColumn("followed", F.coalesce("refers_to", "record_id")).join(first, "followed", "left")
+    return found.withColumn("referred_page", F.when(F.col("refers_to").isNotNull(), F.col("found_page"))).drop("followed", "found_page")
 
 
 def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
