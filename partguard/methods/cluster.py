@@ -11,6 +11,8 @@ from ..operators.rolling import SIX
 from .scores import stat_rows
 
 FLAT = -1
+#: Most features for which the weights of all pairs are held by the driver: 32 MB of them.
+DENSE_LIMIT = 2_000
 
 
 def stat_covariance(summary: DataFrame, stats: tuple[str, ...] = SIX, until=None, kind: str = "correlation") -> DataFrame:
@@ -40,12 +42,15 @@ def feature_graph(cov: DataFrame, top: int | None = None) -> DataFrame:
 def stat_matrices(summary: DataFrame, stats: tuple[str, ...] = SIX, until=None) -> tuple[list[str], dict[str, np.ndarray]]:
     """Per statistic the partitions-by-features table, standardised by feature, flat features as 0: T times n numbers each."""
     rows = summary if until is None else summary.filter(F.col("ds") <= F.lit(until))
-    pdf = rows.select("ds", "feature", *(F.col(q).cast("double").alias(q) for q in stats)).toPandas()
-    names = sorted(pdf["feature"].unique())
-    out = {}
+    table = rows.select(F.col("ds").cast("string").alias("ds"), "feature", *(F.col(q).cast("double").alias(q) for q in stats)).toArrow()
+    row, days = pd.factorize(table["ds"].to_pandas(), sort=True)
+    column, features = pd.factorize(table["feature"].to_pandas(), sort=True)
+    names, out = features.tolist(), {}
     for q in stats:
-        x = pdf.pivot_table(index="ds", columns="feature", values=q, dropna=False).reindex(columns=names).sort_index()
-        x = x.fillna(x.mean()).fillna(0.0).to_numpy(float)
+        x = np.full((len(days), len(names)), np.nan)
+        x[row, column] = table[q].to_numpy()
+        held = ~np.isnan(x)
+        x = np.where(held, x, np.where(held, x, 0.0).sum(0) / np.maximum(held.sum(0), 1))
         mean, std = x.mean(0), x.std(0, ddof=1) if len(x) > 1 else np.zeros(x.shape[1])
         live = std > 1e-9 * np.maximum(1, np.abs(mean))
         out[q] = np.where(live, (x - mean) / np.where(live, std, 1), 0.0)
@@ -85,7 +90,7 @@ def _kmeans(x: np.ndarray, k: int, seed: int, restarts: int = 10) -> np.ndarray:
     return kept
 
 
-def canonical(names: list[str], labels) -> dict[str, int]:
+def canonical(names: list, labels) -> dict:
     """Labels renumbered by their smallest member's name."""
     first: dict = {}
     for name, label in sorted(zip(names, labels)):
@@ -132,16 +137,14 @@ def sparse_graph(summary: DataFrame, names: list[str], matrices: dict[str, np.nd
     def work(batches):
         names, mats = shared.value
         for pdf in batches:
-            rows = []
             for i in pdf["id"]:
                 total = sum(np.abs(x[:, i : i + block].T @ x) / max(1, len(x) - 1) for x in mats.values())
-                for j, w in enumerate(total):
-                    w[i + j] = 0
-                    for t in np.argsort(-w, kind="stable")[:top]:
-                        if w[t] > 1e-12:
-                            a, b = sorted((i + j, int(t)))
-                            rows.append((a, b, float(w[t])))
-            yield pd.DataFrame(rows, columns=["src", "dst", "weight"])
+                own = np.arange(len(total))
+                total[own, i + own] = 0
+                near = np.argpartition(-total, min(top, total.shape[1] - 1), axis=1)[:, :top]
+                made = pd.DataFrame({"a": np.repeat(i + own, near.shape[1]), "b": near.ravel(), "weight": np.take_along_axis(total, near, 1).ravel()})
+                made = made[made["weight"] > 1e-12]
+                yield pd.DataFrame({"src": made[["a", "b"]].min(axis=1), "dst": made[["a", "b"]].max(axis=1), "weight": made["weight"].astype(float)})
 
     return starts.mapInPandas(work, "src long, dst long, weight double").groupBy("src", "dst").agg(F.max("weight").alias("weight"))
 
@@ -155,23 +158,27 @@ def pic(summary: DataFrame | None, edges: DataFrame, names: list[str], v: int, i
     return canonical(names, [label.get(i, FLAT) for i in range(len(names))])
 
 
-def groups_from_components(edges: DataFrame, names: list[str], at_least: float) -> dict[str, int]:
-    """Connected components of the edges of a weight or more, by label passing on the feature graph (n nodes)."""
-    strong = [(r["src"], r["dst"]) for r in edges.filter(F.col("weight") >= at_least).collect()]
-    label = {n: n for n in names}
-    changed = True
-    while changed:
-        changed = False
-        for a, b in strong:
-            low = min(label[a], label[b])
-            for x in (a, b):
-                if label[x] != low:
-                    label[x], changed = low, True
-    return canonical(names, [label[n] for n in names])
+def groups_from_components(edges: DataFrame, names: list, at_least: float) -> dict:
+    """Connected components of the edges of a weight or more, by a forest over the n features; the edges come in a stream, so the driver holds one partition of them."""
+    parent = {n: n for n in names}
 
+    def root(n):
+        while parent[n] != n:
+            parent[n] = n = parent[parent[n]]
+        return n
 
-def fit_groups(summary: DataFrame, method: str = "spectral", until=None, explained: float = 0.95, seed: int = 3, v: int | None = None, given: dict[str, int] | None = None, threshold: float = 3.0) -> tuple[dict[str, int], int]:
-    """Assignment of features to groups, and their number. ``method``: spectral, pic, components, kmeans, single, identity or given."""
+    for r in edges.filter(F.col("weight") >= at_least).select("src", "dst").toLocalIterator():
+        a, b = sorted((root(r["src"]), root(r["dst"])))
+        parent[b] = a
+    return canonical(names, [root(n) for n in names])
+
+
+def fit_groups(summary: DataFrame, method: str = "spectral", until=None, explained: float = 0.95, seed: int = 3, v: int | None = None, given: dict[str, int] | None = None, threshold: float = 3.0, dense: int = DENSE_LIMIT) -> tuple[dict[str, int], int]:
+    """Assignment of features to groups, and their number. ``method``: spectral, pic, components, kmeans, single, identity or given.
+
+    Above ``dense`` features no table of all pairs is made: spectral becomes pic, its power iteration on executors, and
+    components takes each feature's ten strongest edges, which executors find block by block.
+    """
     names, matrices = stat_matrices(summary, until=until)
     v = v or choose_clusters(matrices, explained)[0]
     if method == "given":
@@ -182,9 +189,13 @@ def fit_groups(summary: DataFrame, method: str = "spectral", until=None, explain
         out = {n: i for i, n in enumerate(names)}
     elif method == "kmeans":
         out = canonical(names, _kmeans(np.concatenate(list(matrices.values())).T, min(v, len(names)), seed).tolist())
+    elif method == "components" and len(names) > dense:
+        strong = sparse_graph(summary, names, matrices)
+        numbers = groups_from_components(strong, list(range(len(names))), threshold)
+        out = canonical(names, [numbers[i] for i in range(len(names))])
     elif method == "components":
         out = groups_from_components(feature_graph(stat_covariance(summary, until=until)), names, threshold)
-    elif method == "pic":
+    elif method == "pic" or len(names) > dense:
         out = pic(summary, sparse_graph(summary, names, matrices), names, v)
     else:
         out = spectral(names, graph_matrix(names, matrices), v, seed)

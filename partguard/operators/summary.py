@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.stats import PERCENT_SQL, percentiles, pooled, w1
-from ..plans.planner import chunks
+from ..plans.planner import chunks, mode
 from ..sources.features import Feature
 
 SCALARS = ("completeness", "mean", "stddev", "min", "max", "n_distinct", "top_freq")
@@ -55,21 +55,28 @@ def summarize(rows: DataFrame, features: list[Feature], ds: str = "ds", quantile
 
 
 def summarize_wide(rows: DataFrame, features: list[Feature], ds: str = "ds", approximate: bool = False, width: int = 100) -> DataFrame:
-    """Scalar summaries with one aggregate per feature and statistic, ``width`` features per plan; distinct counts exact or sketched. No generator, so no row is copied."""
+    """Scalar summaries with one aggregate per feature and statistic, ``width`` features per plan, without a generator.
+
+    Distinct counts are sketched, or exact from the distinct values of ``long_form`` in a second scan: several count(distinct) in one
+    plan would copy every row for each of them before the first aggregation."""
     parts = []
     for chunk in chunks(features, width):
         aggs = [F.count("*").alias("n_rows")]
         for f in chunk:
             x = F.expr(f.expr)
             num = F.lit(None).cast("double") if f.kind == "C" else x.cast("double")
-            distinct = F.approx_count_distinct(x, 0.02) if approximate else F.count_distinct(x)
-            aggs.append(F.struct(F.lit(f.name).alias("feature"), F.count(x).alias("n_valid"), F.avg(num).alias("mean"), F.stddev_samp(num).alias("stddev"), F.min(num).alias("min"), F.max(num).alias("max"), distinct.alias("n_distinct")).alias(f.name))
+            sketched = [F.approx_count_distinct(x, 0.02).alias("n_distinct")] if approximate else []
+            aggs.append(F.struct(F.lit(f.name).alias("feature"), F.count(x).alias("n_valid"), F.avg(num).alias("mean"), F.stddev_samp(num).alias("stddev"), F.min(num).alias("min"), F.max(num).alias("max"), *sketched).alias(f.name))
         wide = rows.groupBy(F.col(ds).alias("ds")).agg(*aggs)
         cells = [F.col(f"`{f.name}`") for f in chunk]
         parts.append(wide.select("ds", "n_rows", F.inline(F.array(*cells))))
     out = parts[0]
     for p in parts[1:]:
         out = out.unionByName(p)
+    if not approximate:
+        valid = F.when(F.col("num").isNotNull() | F.col("txt").isNotNull(), 1)
+        values = long_form(rows, features, ds).select("ds", "feature", "num", "txt").distinct()
+        out = out.join(values.groupBy("ds", "feature").agg(F.count(valid).alias("n_distinct")), ["ds", "feature"])
     return out.withColumn("completeness", F.col("n_valid") / F.col("n_rows"))
 
 
@@ -116,3 +123,12 @@ def summarize_array(rows: DataFrame, array_column: str, ds: str = "ds") -> DataF
     cells = rows.select(F.col(ds).alias("ds"), F.posexplode(x).alias("p", "num")).select("ds", F.format_string("dim_%02d", "p").alias("feature"), F.col("num").cast("double").alias("num"))
     every = cells.unionByName(rows.select(F.col(ds).alias("ds"), F.lit("norm").alias("feature"), norm.alias("num")))
     return every.groupBy("ds", "feature").agg(F.count("num").alias("n_valid"), F.avg("num").alias("mean"), F.stddev_samp("num").alias("stddev"), F.min("num").alias("min"), F.max("num").alias("max"))
+
+
+def summarize_planned(rows: DataFrame, features: list[Feature], ds: str = "ds", needs_quantiles: bool = True) -> DataFrame:
+    """Summaries in the form that ``planner.mode`` picks for the number of features and the rows of the largest partition, counted from the partition column alone."""
+    largest = rows.groupBy(F.col(ds).alias("ds")).count().agg(F.coalesce(F.max("count"), F.lit(0))).first()[0]
+    how = mode(len(features), largest, needs_quantiles)
+    if how == "sketch":
+        return read_sketches(summarize_sketch(rows, features, ds))
+    return summarize(rows, features, ds, needs_quantiles) if how == "long" else summarize_wide(rows, features, ds)

@@ -295,3 +295,25 @@ def test_quality_model_is_refitted_for_every_batch(spark, sf):
         want[ds] = (len(by_batch[ds]), np.mean([(np.dot(w, v) >= 0.5) == bool(q) for v, q in by_batch[ds]]))
     assert got.keys() == want.keys() and all(got[d][0] == n and got[d][1] == pytest.approx(a) for d, (n, a) in want.items())
     assert np.average([a for _, a in got.values()], weights=[n for n, _ in got.values()]) > 0.8
+
+
+def test_groups_beyond_the_dense_limit(spark):
+    rng = np.random.default_rng(5)
+    shared = rng.normal(size=(12, 3))
+    rows = [(f"2024-01-{t + 1:02d}", f"f{j:02d}", *(float(shared[t, j % 3] * (q + 1)) for q in range(6))) for t in range(12) for j in range(24)]
+    s = spark.createDataFrame(rows, "ds string, feature string, " + ", ".join(f"{q} double" for q in ro.SIX)).withColumn("ds", F.col("ds").cast("date"))
+    dense, _ = cl.fit_groups(s, "components", threshold=5.9)
+    assert len(set(dense.values())) == 3
+    assert cl.fit_groups(s, "components", threshold=5.9, dense=5)[0] == dense
+    wide, v = cl.fit_groups(s, "spectral", v=3, dense=5)
+    assert sorted(wide) == sorted(dense) and 1 <= v <= 3
+
+
+def test_planned_summary(spark, sf):
+    data = fe.events()
+    rows = data.rows(spark, sf)
+    planned = {(r["ds"], r["feature"]): r for r in sm.summarize_planned(rows, data.features, needs_quantiles=False).collect()}
+    exact = {(r["ds"], r["feature"]): r for r in sm.summarize(rows, data.features, quantiles=False).collect()}
+    assert planned.keys() == exact.keys()
+    for key, r in exact.items():
+        assert (planned[key]["n_valid"], planned[key]["n_distinct"]) == (r["n_valid"], r["n_distinct"])
