@@ -4,9 +4,11 @@ import base64
 import gzip
 import hashlib
 import itertools
+import math
 import random
 import re
 import zlib
+from collections import Counter
 
 import duckdb
 import numpy as np
@@ -491,3 +493,24 @@ def test_pipeline(spark, sf, docs):
     assert {r["doc_id"] for r in pieces_} == ids and 0.5 * docs.count() < len(ids) < docs.count()
     texts = [(r["doc_id"], r["text"]) for r in kept.collect()]
     assert all(c == i for i, (_, c) in brute_components(texts, 5, 80).items())
+
+
+def test_classifier_against_a_plain_solver():
+    rng = np.random.default_rng(8)
+    rows = [np.unique(rng.integers(0, 30, 6) + (8 if i % 2 else 0)).astype(np.int64) for i in range(40)]
+    labels = np.array([i % 2 for i in range(40)])
+    model = nbsvm.fit(rows, labels, epochs=3000)
+    seen, size = {s: Counter(int(f) for r, y in zip(rows, labels) if y == s for f in r) for s in (0, 1)}, 1 << nbsvm._BITS
+    ratio = {f: math.log((seen[1][f] + 1) / (sum(seen[1].values()) + size)) - math.log((seen[0][f] + 1) / (sum(seen[0].values()) + size)) for f in range(38)}
+    x = np.zeros((40, 39))
+    for i, r in enumerate(rows):
+        x[i, r] = [ratio[int(f)] / math.sqrt(len(r)) for f in r]
+    x[:, 38] = 1  # the bias is a weight like the others
+    y = np.where(labels > 0, 1.0, -1.0)
+    gram = (x @ x.T) * np.outer(y, y)
+    alpha, step = np.zeros(40), 1 / np.linalg.eigvalsh(gram)[-1]
+    for _ in range(200_000):
+        alpha = np.clip(alpha - step * (gram @ alpha - 1), 0, 1)
+    want = x @ (x.T @ (alpha * y))
+    got = np.array([model.weights[r].sum() / math.sqrt(len(r)) + model.bias for r in rows])
+    assert np.abs(got - want).max() < 0.02
