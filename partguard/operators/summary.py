@@ -100,11 +100,15 @@ def merge_sketches(summaries: DataFrame, ds: Column) -> DataFrame:
 
 
 def read_sketches(summaries: DataFrame) -> DataFrame:
-    """The statistics that sketches hold: estimated distinct count, percentiles and top item's share, with exact completeness and moments."""
-    top = F.expr("element_at(filter(approx_top_k_estimate(items, 2), e -> e.item IS NOT NULL), 1).count")
+    """The statistics that sketches hold: estimated distinct count, percentiles and top item's share, with exact completeness and moments.
+
+    Of very many values without a frequent one, the top-item sketch names none, as all counts lie within its error (some 0.3 % of the rows);
+    the mean count of a value, the least that the top one can have, then stands for the top count."""
+    top = F.expr("get(filter(approx_top_k_estimate(items, 2), e -> e.item IS NOT NULL), 0).count")
+    least = F.try_divide("n_valid", F.hll_sketch_estimate("hll"))
     return summaries.select(
         "ds", "feature", "kind", "n_rows", "n_valid", (F.col("n_valid") / F.col("n_rows")).alias("completeness"), "mean", F.when((F.col("kind") != "C") & (F.col("n_valid") > 1), F.sqrt(F.greatest("m2", F.lit(0.0)) / (F.col("n_valid") - 1))).alias("stddev"), "min", "max",
-        F.hll_sketch_estimate("hll").alias("n_distinct"), (F.coalesce(top, F.lit(0)) / F.col("n_rows")).alias("top_freq"), F.when(F.col("min").isNotNull(), F.expr(f"kll_sketch_get_quantile_double(kll, {PERCENT_SQL})")).alias("quantiles"),
+        F.hll_sketch_estimate("hll").alias("n_distinct"), (F.coalesce(top, least, F.lit(0)) / F.col("n_rows")).alias("top_freq"), F.when(F.col("min").isNotNull(), F.expr(f"kll_sketch_get_quantile_double(kll, {PERCENT_SQL})")).alias("quantiles"),
     )
 
 

@@ -157,6 +157,18 @@ def test_sketches_merge(spark, sf):
     assert merged.join(whole, ["ds", "feature"]).filter("n_valid <> v OR abs(mean - m) > 1e-6 * greatest(1, abs(m)) OR abs(stddev - s) > 1e-6 * greatest(1, s)").count() == 0
 
 
+def test_sketch_of_many_values_without_a_frequent_one(spark):
+    rows = spark.range(20000).select((F.col("id") % 4).alias("ds"), "id")
+    features = [fe.Feature("unique", "N", "id"), fe.Feature("pairs", "C", "concat('p', id div 8)"), fe.Feature("hundredth", "C", "CASE WHEN id < 200 THEN 'often' ELSE concat('w', id) END"), fe.Feature("gaps", "N", "CASE WHEN id % 3 = 0 THEN id END"), fe.Feature("none", "C", "CAST(NULL AS STRING)")]
+    states = sm.summarize_sketch(rows, features)
+    for sketched, whole in ((states, rows), (sm.merge_sketches(states, F.lit(0)), rows.withColumn("ds", F.lit(0)))):
+        got = {(r["ds"], r["feature"]): r["top_freq"] for r in sm.read_sketches(sketched).collect()}
+        want = {(r["ds"], r["feature"]): r["top_freq"] for r in sm.summarize(whole, features, quantiles=False).collect()}
+        assert got.keys() == want.keys()
+        assert all(abs(got[k] - v) <= 0.004 and (got[k] > 0) == (v > 0) for k, v in want.items())
+        assert all(got[k] == pytest.approx(v, rel=0.06) for k, v in want.items() if k[1] == "unique")
+
+
 def test_no_look_ahead(spark, low):
     groups = cd.groups_frame(spark, {f.name: i % 4 for i, f in enumerate(fe.EVENTS)})
     cut = low.filter("ds <= '2024-01-18'")
